@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -19,8 +22,25 @@ LOWER = "abcdefghijklmnopqrstuvwxyz"
 NULL_ID = -(2**63)
 
 
+_SHIPPED: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Give executors this package, once an application, in case they don't have it."""
+    app = spark.sparkContext.applicationId
+    if app not in _SHIPPED:
+        root = Path(__file__).resolve().parents[1]
+        path = Path(tempfile.mkdtemp(prefix="package-")) / "package.zip"
+        with zipfile.ZipFile(path, "w") as z:
+            for f in root.rglob("*.py"):
+                z.write(f, f.relative_to(root.parent))
+        spark.sparkContext.addPyFile(str(path))
+        _SHIPPED.add(app)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
     """The named table, cut to ``cols`` so that the scan reads no other column."""
+    ship(spark)
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*cols) if cols else df
 
@@ -33,6 +53,12 @@ def shared_dir(spark: SparkSession) -> str:
     return sc.getCheckpointDir()
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark drop the shuffle files of steps whose result has been written."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """Cut the lineage of a narrow table with a reliable checkpoint."""
     shared_dir(df.sparkSession)
@@ -47,7 +73,10 @@ def stored(df: DataFrame) -> DataFrame:
     jvm = spark._jvm
     at = jvm.org.apache.hadoop.fs.Path(path)
     at.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(at)
-    return spark.read.schema(df.schema).parquet(path)
+    schema = df.schema
+    del df
+    release(spark)
+    return spark.read.schema(schema).parquet(path)
 
 
 def shuffle_parts(spark: SparkSession) -> int:
@@ -77,7 +106,7 @@ def lower_ascii(col):
 class WordHash(dict):
     """word bytes -> 64-bit hash, kept for up to ``most`` words."""
 
-    def __init__(self, most: int = 400_000):
+    def __init__(self, most: int = 250_000):
         self.most = most
 
     def __missing__(self, word: bytes) -> int:
