@@ -5,9 +5,11 @@ the sets in key ranges, six bytes a shingle, so that one shuffle serves to count
 documents per shingle.  A shingle held by one document can link nothing: only
 shared shingles go back to their documents, rarest first.  A document whose
 unique shingles already fill its prefix is done.  The few others meet on their
-prefix shingles, first each list with its smallest member, then, between the
-components so found, every remaining pair; a pair is verified once.  So a group
-of thousands of near copies costs a pair for each copy, yet no link between
+prefix shingles: first each with the smallest member of its list, a pair verified
+once after length, suffix and positional filters.  Lists with the same smallest
+member form a hub; within a hub, documents of different components so found meet
+in blocks, where bit-matrix products give all overlaps exactly.  So a group of
+thousands of near copies costs a pair for each copy, yet no link between
 components is lost.
 
 Inputs: nulls in the text count as empty; empty texts have no shingle and link
@@ -24,10 +26,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NULL_ID, as_bytes, batch, binaries, checkpointed, narrow, range_bits, ranges_of, runs, stored, widen, window_hashes, word_hashes
+from .common import NULL_ID, as_bytes, batch, binaries, checkpointed, narrow, range_bits, ranges_of, runs, shuffle_parts, stored, widen, window_hashes, word_hashes
 from .components import connected_components
 
-BLOCK_KEYS, BLOCK_DOCS = 2_000_000, 60_000
+BLOCK_KEYS, BLOCK_DOCS = 1_000_000, 60_000
 _PACKED = pa.schema([("grp", pa.int64()), ("block", pa.int64()), *((c, pa.binary()) for c in ("hi", "lo", "idx", "ids", "sizes", "digests"))])
 _SHARED = pa.schema([("block", pa.int64()), *((c, pa.binary()) for c in ("keys", "idx", "df", "ids", "sizes", "digests"))])
 _SETS = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("digest", pa.binary()), ("n_own", pa.int64()), ("n_prefix", pa.int64()), ("shared", pa.binary())])
@@ -175,6 +177,11 @@ def _verify(percent: int):
                 if ok:
                     x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
                     ok = suffix_bound(x, y) >= least
+                if ok:
+                    px, py = n - needed(n, percent) + 1 - (n - len(x)), m - needed(m, percent) + 1 - (m - len(y))
+                    _, i, j = np.intersect1d(x[:px], y[:py], assume_unique=True, return_indices=True)
+                    # positional filter: own keys come first, so place i of the shared ones leaves len(x) - i
+                    ok = len(i) > 0 and min(len(x) - i.min(), len(y) - j.min()) >= least
                 if ok:
                     both = len(np.intersect1d(x, y, assume_unique=True))
                     ok = 100 * both >= percent * (n + m - both)
@@ -184,6 +191,84 @@ def _verify(percent: int):
     return run
 
 
+_TILE = 1024  # documents on a side of a block of pairs
+
+
+def _overlaps(a: list[np.ndarray], b: list[np.ndarray], step: int = 4096) -> np.ndarray:
+    """Sizes of all intersections, by products of 0/1 matrices over the keys that both sides have."""
+    ka, kb = np.concatenate(a), np.concatenate(b)
+    keys = np.intersect1d(ka, kb)
+    ra, rb = np.repeat(np.arange(len(a)), [len(x) for x in a]), np.repeat(np.arange(len(b)), [len(x) for x in b])
+    out = np.zeros((len(a), len(b)), np.float32)
+    for at in range(0, len(keys), step):
+        some = keys[at : at + step]
+        sides = []
+        for k, r, n in ((ka, ra, len(a)), (kb, rb, len(b))):
+            i = np.minimum(np.searchsorted(some, k), len(some) - 1)
+            hit = some[i] == k
+            m = np.zeros((n, len(some)), np.float32)
+            m[r[hit], i[hit]] = 1
+            sides.append(m)
+        out += sides[0] @ sides[1].T
+    return out.astype(np.int64)
+
+
+def _block_links(percent: int):
+    """Links between documents of different labels in each block of a hub: one for each (document, label)."""
+
+    def run(key: tuple[pa.Scalar, ...], tbl: pa.Table) -> pa.Table:
+        d = tbl.select(["hub", "ta", "tb", "cid", "n", "label", "in_a", "in_b"]).to_pandas()
+        sets = [np.frombuffer(x, np.uint64) for x in binaries(tbl, "shared")]
+        out = []
+        for _, g in d.groupby(["hub", "ta", "tb"], sort=False):
+            a, b = g.index[g.in_a], g.index[g.in_b]
+            if not len(a) or not len(b):
+                continue
+            n, m = d.n.values[a][:, None], d.n.values[b][None, :]
+            la, lb = d.label.values[a], d.label.values[b]
+            want = (la[:, None] != lb[None, :]) & (np.minimum(n, m) * 100 >= np.maximum(n, m) * percent)
+            rows, cols = np.flatnonzero(want.any(1)), np.flatnonzero(want.any(0))
+            if not len(rows):
+                continue
+            both = _overlaps([sets[a[i]] for i in rows], [sets[b[j]] for j in cols])
+            w = np.ix_(rows, cols)
+            i, j = np.nonzero(want[w] & (100 * both >= percent * (n[rows] + m[:, cols] - both)))
+            links = {}
+            for x, y in zip(rows[i], cols[j], strict=True):
+                links.setdefault((x, lb[y]), (int(d.cid.values[a[x]]), int(d.cid.values[b[y]])))
+            out += links.values()
+        return pa.Table.from_batches([batch(_LINK, [x for x, _ in out], [y for _, y in out], [True] * len(out))] if out else [], schema=_LINK)
+
+    return run
+
+
+def _hub_links(members: DataFrame, slim: DataFrame, percent: int) -> DataFrame:
+    """members(hub, cid, label) -> links between different labels of a hub.
+
+    The members of a hub's commonest label need no pairs among themselves; the
+    others meet them and each other in blocks of bounded size.
+    """
+    parts = 8 * shuffle_parts(members.sparkSession)
+    by = members.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("c"))
+    main = by.groupBy("hub").agg(F.max(F.struct("c", "label")).alias("main"), F.sum("c").alias("total")).where("main.c < total")
+    tiles = lambda c: F.ceil(c / F.lit(_TILE))
+    main = main.select("hub", F.col("main.label").alias("main"), tiles(F.col("main.c")).alias("tm"), tiles(F.col("total") - F.col("main.c")).alias("to"), F.col("total") <= _TILE)
+    main = main.toDF("hub", "main", "tm", "to", "small")
+    m = members.join(main, "hub").withColumn("other", F.col("label") != F.col("main"))
+    m = m.withColumn("tile", F.pmod(F.xxhash64("cid"), F.when(F.col("other"), F.col("to")).otherwise(F.col("tm"))))
+    first = lambda x, y: F.struct(x.cast("long").alias("ta"), y.cast("long").alias("tb"), F.lit(True).alias("in_a"), F.lit(False).alias("in_b"))
+    second = lambda x, y: F.struct(x.cast("long").alias("ta"), y.cast("long").alias("tb"), F.lit(False).alias("in_a"), F.lit(True).alias("in_b"))
+    # tiles of others are 0..to-1, those of the main label to..to+tm-1; a block joins an other tile with a tile from it on
+    t = F.col("tile")
+    as_a = F.transform(F.sequence(t, F.col("to") + F.col("tm") - 1), lambda k: first(t, k))
+    as_b = F.transform(F.sequence(F.lit(0).cast("long"), t), lambda k: second(k, t))
+    as_main = F.transform(F.sequence(F.lit(0).cast("long"), F.col("to") - 1), lambda k: second(k, t + F.col("to")))
+    m = m.withColumn("at", F.explode(F.when(F.col("other"), F.concat(as_a, as_b)).otherwise(as_main)))
+    bucket = F.when(F.col("small"), F.pmod(F.xxhash64("hub"), F.lit(parts))).otherwise(F.xxhash64("hub", "at.ta", "at.tb"))
+    m = m.select("hub", "cid", "label", bucket.alias("bucket"), "at.*").join(slim, "cid")
+    return m.groupBy("bucket").applyInArrow(_block_links(percent), ddl(_LINK))
+
+
 def shingle_sets(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: id, set size, digest of the set, and for rows that may link the shared shingles, rarest first."""
     bits = range_bits(docs.sparkSession)
@@ -205,22 +290,17 @@ def ngram_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
         both = pairs.join(left, "a").join(right, "b").select("a", "b", "n_a", "n_b", "s_a", "s_b")
         return both.mapInArrow(_verify(percent), ddl(_LINK))
 
-    fits = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent  # noqa: E731  length filter
+    fits = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
     pivot = posts.groupBy("key").agg(F.min(F.struct("cid", "n")).alias("p"), F.count(F.lit(1)).alias("c")).where("c > 1")
     star = posts.join(pivot, "key").where((F.col("cid") != F.col("p.cid")) & fits(F.col("n"), F.col("p.n"))).select(F.col("p.cid").alias("a"), F.col("cid").alias("b")).distinct()
     tried = checkpointed(verified(star))
     label = connected_components(tried.where("linked").select("a", "b"))
 
-    # what is left: pairs of different components that share a prefix key
-    marked = posts.join(label.withColumnRenamed("node", "cid"), "cid", "left").withColumn("label", F.coalesce("label", "cid"))
-    mixed = marked.groupBy("key").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 != l1").select("key")
-    marked = checkpointed(marked.join(mixed, "key"))
-    x, y = (marked.select("key", *(F.col(c).alias(f"{c}_{s}") for c in ("cid", "n", "pos", "label"))) for s in "ab")
-    pairs = x.join(y, "key").where((F.col("cid_a") < F.col("cid_b")) & (F.col("label_a") != F.col("label_b")) & fits(F.col("n_a"), F.col("n_b")))
-    pairs = pairs.groupBy("cid_a", "cid_b").agg(*(F.min(c).alias(c) for c in ("n_a", "n_b", "pos_a", "pos_b")))
-    most = 1 + F.least(F.col("n_a") - F.col("pos_a"), F.col("n_b") - F.col("pos_b")) - 1  # positional filter, from the first shared key on
-    pairs = pairs.where(most * (100 + percent) >= percent * (F.col("n_a") + F.col("n_b"))).select(F.col("cid_a").alias("a"), F.col("cid_b").alias("b"))
-    rest = checkpointed(verified(pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti")).where("linked"))
+    # what is left: pairs of different components that share a prefix key.  Lists with the same
+    # smallest member form a hub, so a pair is met once a hub and not once a list
+    hubs = posts.join(pivot, "key").where(F.col("cid") != F.col("p.cid")).select(F.col("p.cid").alias("hub"), "cid").distinct()
+    hubs = hubs.join(label.withColumnRenamed("node", "cid"), "cid", "left").withColumn("label", F.coalesce("label", "cid"))
+    rest = checkpointed(_hub_links(checkpointed(hubs), slim, percent))
     label = connected_components(tried.where("linked").select("a", "b").union(rest.select("a", "b")))
 
     found = classes.join(label.withColumnRenamed("node", "cid"), "cid", "left").select("digest", F.coalesce("label", "cid").alias("component"))
