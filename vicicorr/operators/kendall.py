@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.stats import upper_p, var_with_ties, verdict
 from ..sources.graphs import EventGraph
-from .balls import balls, set_ball
+from .balls import balls, cut, set_ball
 
 PAIRS_UP_TO = 20_000  # distinct density pairs; beyond, the rank grid
 
@@ -77,7 +77,11 @@ def tie_sums(dens: DataFrame, side: str, *by: str) -> DataFrame:
 
 
 def kendall_test(dens: DataFrame, *by: str, alpha: float = 0.05) -> DataFrame:
-    """One row (a group ``by``): n, s, t, var_s, z, p_upper, p_lower, verdict."""
+    """One row (a group ``by``): n, s, t, var_s, z, p_upper, p_lower, verdict.
+
+    The densities, a few numbers a reference, are checkpointed: three aggregates
+    read them, and the search behind them must not run thrice."""
+    dens = cut(dens.select(*by, "size", "cnt_a", "cnt_b"))
     p = pair_counts(dens, *by)
     for side in "ab":
         t = tie_sums(dens, side, *by)

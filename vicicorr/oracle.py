@@ -111,9 +111,9 @@ def draws(h: int, total_draws: int, seed: int = 42) -> str:
 sz AS (SELECT root AS node, count(*) AS size FROM e{h} GROUP BY root),
 iv AS MATERIALIZED (SELECT node, size, (sum(size) OVER (ORDER BY node) - size)::BIGINT AS lo FROM sz),
 x AS (SELECT j, ('0x' || substr(md5(j || ':{seed}'), 1, 15))::BIGINT % (SELECT sum(size)::BIGINT FROM iv) AS x FROM range(1, {total_draws + 1}) r(j)),
-picks AS MATERIALIZED (SELECT j, node AS root, size, x - lo AS "at" FROM x JOIN iv ON x >= lo AND x < lo + size),
+picks AS MATERIALIZED (SELECT j, node AS root, size, x - lo AS at_ FROM x JOIN iv ON x >= lo AND x < lo + size),
 ordered AS MATERIALIZED (SELECT root, node, row_number() OVER (PARTITION BY root ORDER BY md5(node || ':{seed}'), node) - 1 AS pos FROM e{h}),
-member AS MATERIALIZED (SELECT j, 1 AS i, node FROM picks JOIN ordered ON picks.root = ordered.root AND picks."at" = ordered.pos)"""
+member AS MATERIALIZED (SELECT j, 1 AS i, node FROM picks JOIN ordered ON picks.root = ordered.root AND picks.at_ = ordered.pos)"""
 
 
 def first_distinct(n: int, source: str = "member") -> str:

@@ -136,10 +136,10 @@ _ev = f"WITH {o.graph(COP)}, {o.events(*_B4)}"
 query("sample_naive_union", f"{_ev}, {o.roots(2, 'ev')} SELECT DISTINCT node FROM b2")(lambda s, d: samplers.naive_union(graph(s, d), *_B4, 2))
 query("sample_enumerate", f"{_ev}, {o.seeds(2)} SELECT node, 1::BIGINT AS w FROM s2 ORDER BY md5(node || ':42'), node LIMIT {N}")(lambda s, d: samplers.enumerate_sample(graph(s, d), *_B4, 2, N))
 query("sample_whole_graph", f"{_ev}, {o.seeds(2)}, p AS (SELECT id AS node, row_number() OVER (ORDER BY md5(id || ':42')) AS r FROM nodes), t AS (SELECT p.* FROM p JOIN s2 USING (node) ORDER BY r LIMIT {N}) SELECT node, 1::BIGINT AS w, (SELECT max(r) FROM t) AS tried FROM t")(lambda s, d: samplers.whole_graph_sample(graph(s, d), *_B4, 2, N))
-query("weighted_draw", f"{_ev}, {o.draws(2, 600)} SELECT j, root, size, "at" FROM picks")(lambda s, d: samplers.weighted_draw(graph(s, d), *_B4, 2, 600))
+query("weighted_draw", f"{_ev}, {o.draws(2, 600)} SELECT j, root, size, at_ AS \"at\" FROM picks")(lambda s, d: samplers.weighted_draw(graph(s, d), *_B4, 2, 600))
 query("prefix_sum", f"{_ev}, {o.draws(2, 1)} SELECT node, size, lo FROM iv")(lambda s, d: samplers.intervals(graph(s, d), *_B4, 2))
 query("sample_importance", f"{_ev}, {o.draws(2, 3 * N)}, {o.first_distinct(N)} SELECT node, w FROM smp")(lambda s, d: samplers.importance_sample(graph(s, d), *_B4, 2, N))
-_batch = f"m3 AS MATERIALIZED (SELECT j, i, node FROM (SELECT j, i, root, CASE WHEN i = 1 THEN "at" ELSE ('0x' || substr(md5(j || ':' || i || ':42'), 1, 15))::BIGINT % size END AS pos FROM picks, range(1, 4) r(i)) q JOIN ordered USING (root, pos))"
+_batch = f"m3 AS MATERIALIZED (SELECT j, i, node FROM (SELECT j, i, root, CASE WHEN i = 1 THEN at_ ELSE ('0x' || substr(md5(j || ':' || i || ':42'), 1, 15))::BIGINT % size END AS pos FROM picks, range(1, 4) r(i)) q JOIN ordered USING (root, pos))"
 query("sample_importance_batch", f"{_ev}, {o.draws(2, 3 * N)}, {_batch}, {o.first_distinct(N, 'm3')} SELECT node, w FROM smp")(lambda s, d: samplers.importance_sample(graph(s, d), *_B4, 2, N, k=3))
 query("sample_reject", f"{_ev}, {o.draws(2, 8 * N)}, md AS (SELECT DISTINCT node FROM member), {o.roots(2, 'md', 'q')}, cc AS (SELECT root AS node, count(*) AS c FROM q2 JOIN ev ON ev.node = q2.node GROUP BY root), k AS (SELECT member.node, min(j) AS j FROM member JOIN cc USING (node) WHERE ('0x' || substr(md5(j || ':keep:42'), 1, 15))::BIGINT % c = 0 GROUP BY 1) SELECT node, 1::BIGINT AS w FROM k ORDER BY j LIMIT {N}")(lambda s, d: samplers.rejection_sample(graph(s, d), *_B4, 2, N))
 query("tau_sample", f"{_ev}, {o.seeds(2)}, rf AS (SELECT node FROM s2 ORDER BY md5(node || ':42'), node LIMIT {N}), {o.roots(2, 'rf')}, {o.DENS.format(b='b2')}, {o.TEST} SELECT * FROM res")(lambda s, d: tidy(kendall.kendall_test(kendall.densities(g := graph(s, d), cut(samplers.enumerate_sample(g, *_B4, 2, N)), *_B4, 2))))
