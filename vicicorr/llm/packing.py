@@ -17,10 +17,14 @@ are packed row by row.
 from __future__ import annotations
 
 import os
+import re
+import unicodedata
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -30,30 +34,75 @@ from .ngram_join import ddl
 _CACHES: dict = {}
 
 
-class ChunkIds(dict):
-    """Chunk between ASCII spaces or line ends -> its ids as bytes; the tokenizer never joins across them."""
+#: The tokenizer's own cut of text in words: for lower-cased ASCII, for lower-cased Latin-1, and for any text before lower-casing.
+_ASCII = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+", re.ASCII)
+_LATIN = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|[0-9\xb2\xb3\xb9\xbc-\xbe]|[^\t\n\x0b\x0c\r \x85\xa0a-z0-9\xaa\xb2\xb3\xb5\xb9\xba\xbc-\xbe\xdf-\xf6\xf8-\xff]+")
+_ANY = regex.compile(r"'[sS]|'[tT]|'[rR][eE]|'[vV][eE]|'[mM]|'[lL][lL]|'[dD]|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
 
-    def __init__(self, path: str, most: int = 400_000):
+
+def _latin(text: str) -> bool:
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    return True
+
+
+def _byte_letters() -> dict[int, str]:
+    """The letter that byte-level vocabularies write for each byte: itself if visible, else the next from 256 on."""
+    seen = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in set(seen)]
+    return {b: chr(b) for b in seen} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+_LETTERS = _byte_letters()
+
+
+class WordIds:
+    """Word, as the tokenizer cuts them -> its ids as bytes; words seen of late are kept in two generations."""
+
+    def __init__(self, path: str, most: int = 600_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tok, self.most = Tokenizer.from_file(path), most
+        self.tok, self.most, self.now, self.old = Tokenizer.from_file(path), most, {}, {}
+        self.model = self.tok.model
 
-    def ids(self, texts: list[str]) -> list[np.ndarray]:
-        split = [t.replace("\n", " ").split(" ") for t in texts]
-        if len(self) > self.most:
-            self.clear()
-        new = list({c for x in split for c in x if c not in self})
+    def _learn(self, words) -> None:
+        new, now = [], self.now
+        for w in words:
+            if (known := self.old.get(w)) is not None:
+                now[w] = known
+            elif w == w.lower() and (w.isascii() or _latin(w)):  # nothing left for the tokenizer but its merges
+                now[w] = array("I", [t.id for t in self.model.tokenize(w if w.isascii() else w.encode().decode("latin-1").translate(_LETTERS))]).tobytes()
+            else:
+                new.append(w)
         for at in range(0, len(new), 20_000):
             some = new[at : at + 20_000]
-            for c, e in zip(some, self.tok.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                self[c] = np.array(e.ids, np.uint32).tobytes()
-        return [np.frombuffer(b"".join(map(self.__getitem__, x)), np.uint32) for x in split]
+            for w, e in zip(some, self.tok.encode_batch_fast(some, add_special_tokens=False), strict=True):
+                now[w] = array("I", e.ids).tobytes()
+
+    def ids(self, texts: list[str]) -> list[np.ndarray]:
+        """Ids of whole texts.  Texts with a special token's mark, or a capital that lower-cases to two characters, go whole."""
+        if len(self.now) > self.most:
+            self.now, self.old = {}, self.now
+        cut = []
+        for t in texts:
+            if "<|" in t or "\u0130" in t:
+                cut.append(None)
+            elif t.isascii():
+                cut.append(_ASCII.findall(t.lower()))
+            elif _latin(t):
+                cut.append(_LATIN.findall(t.lower()))
+            else:
+                cut.append(_ANY.findall(t if unicodedata.is_normalized("NFC", t) else unicodedata.normalize("NFC", t)))
+        self._learn(set().union(*(x for x in cut if x)).difference(self.now))
+        return [np.array(self.tok.encode(t, add_special_tokens=False).ids, np.uint32) if x is None else np.frombuffer(b"".join(map(self.now.__getitem__, x)), np.uint32) for t, x in zip(texts, cut, strict=True)]
 
 
-def tokenizer(path: str) -> ChunkIds:
+def tokenizer(path: str) -> WordIds:
     if path not in _CACHES:
-        _CACHES[path] = ChunkIds(path)
+        _CACHES[path] = WordIds(path)
     return _CACHES[path]
 
 
