@@ -25,6 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import as_bytes
 from .lattice_lm import MARK, load_vocabulary
 
 _CHUNK = re.compile(r"\n| *[^ \n]+| +")
@@ -38,7 +39,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 class MergeDropout:
-    def __init__(self, model_path: str, rate: float = 0.1, seed: int = 13, variants: int = 4, most: int = 300_000):
+    def __init__(self, model_path: str, rate: float = 0.1, seed: int = 13, variants: int = 4, most: int = 1_200_000):
         pieces, scores, self.byte_ids = load_vocabulary(model_path)
         self.size, self.variants, self.most = len(pieces), variants, most
         self.cut = np.uint64(int(rate * (2**64 - 1)))
@@ -126,17 +127,20 @@ class MergeDropout:
         cut = [_CHUNK.findall(t) for t in texts]
         for v in set(variants):
             kept = self.kept[v]
-            if len(kept) > self.most // self.variants * 2:
+            if len(kept) > self.most // self.variants:
                 kept.clear()
-            new = list(set().union(*(x for x, mine in zip(cut, variants, strict=True) if mine == v)) - kept.keys())
+            new = list(set().union(*(x for x, mine in zip(cut, variants, strict=True) if mine == v)).difference(kept))
             for at in range(0, len(new), 20_000):
                 some = new[at : at + 20_000]
                 kept.update(zip(some, self.encode_chunks(some, v), strict=True))
         kind = np.uint16 if self.size < 65536 else np.uint32
         return [np.frombuffer(b"".join(map(self.kept[v].__getitem__, x)), kind) for x, v in zip(cut, variants, strict=True)]
 
+    def spell(self, ids) -> bytes:
+        return b"".join(map(self.raw.__getitem__, ids))
+
     def decode(self, ids) -> str:
-        return b"".join(map(self.raw.__getitem__, ids)).decode("utf-8", "surrogatepass")
+        return self.spell(ids).decode("utf-8", "surrogatepass")
 
 
 _MODELS: dict = {}
@@ -148,7 +152,7 @@ def _model(*args) -> MergeDropout:
     return _MODELS[args]
 
 
-def _encode(args: tuple, group: int = 128):
+def _encode(args: tuple, group: int = 512):
     def run(batches):
         m = _model(*args)
         for b in batches:
@@ -188,10 +192,10 @@ def _digest(args: tuple):
     def run(batches):
         m = _model(*args)
         for b in batches:
-            texts, at = b.column(1).to_pylist(), 0
+            texts, at = as_bytes(b.column(1)), 0
             for x in inner(iter([b])):
                 ids = x.column(2).to_pylist()
-                back = [m.decode(np.frombuffer(i, "<u4").tolist()) == (t or "") for i, t in zip(ids, texts[at : at + x.num_rows], strict=True)]
+                back = [m.spell(np.frombuffer(i, "<u4").tolist()) == (t or b"") for i, t in zip(ids, texts[at : at + x.num_rows], strict=True)]
                 at += x.num_rows
                 yield pa.RecordBatch.from_arrays([x.column(0), x.column(1), pa.array([len(i) // 4 for i in ids], pa.int64()), pa.array([zlib.crc32(i) for i in ids], pa.int64()), pa.array(back, pa.bool_())], names=["doc_id", "variant", "n_ids", "ids_crc32", "lossless"])
 
