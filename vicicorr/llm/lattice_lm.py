@@ -225,6 +225,15 @@ def _rows(sent):
         part, row = TaskContext.get().partitionId(), 0
         top, c, lp = sent.value
         log_c = np.log10(c + 0.1)
+        out: list[tuple] = []
+
+        def flush():
+            rids, hs, tfs, infos = zip(*out, strict=True)
+            n = [len(h) for h in hs]
+            info = [x for i, k in zip(infos, n, strict=True) for x in (i, *([None] * (k - 1)))]
+            out.clear()
+            return batch(_ROWS, np.repeat(np.array(rids, np.int64), n), np.concatenate(hs), np.concatenate(tfs), info)
+
         for b in batches:
             for doc, held, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), as_bytes(b.column(2)), strict=True):
                 rid = (part << 36) | row
@@ -240,7 +249,11 @@ def _rows(sent):
                 i, t = i[hit], tf[hit]
                 info = np.array([(doc or 0, doc is None, held, len(words), t[c[i] > 0].sum(), (t * log_c[i]).sum(), (t * lp[i]).sum())], _INFO).tobytes()
                 rest = h[~hit]
-                yield batch(_ROWS, [rid] * (len(rest) + 1), np.r_[np.int64(rid * 2654435761 % (1 << 62)), rest], np.r_[0, tf[~hit]], [info] + [None] * len(rest))
+                out.append((rid, np.r_[np.int64(rid * 2654435761 % (1 << 62)), rest], np.r_[0, tf[~hit]], info))
+                if len(out) >= 256:
+                    yield flush()
+        if out:
+            yield flush()
 
     return run
 
