@@ -106,7 +106,7 @@ def lower_ascii(col):
 class WordHash(dict):
     """word bytes -> 64-bit hash, kept for up to ``most`` words."""
 
-    def __init__(self, most: int = 250_000):
+    def __init__(self, most: int = 120_000):
         self.most = most
 
     def __missing__(self, word: bytes) -> int:

@@ -61,7 +61,7 @@ _LETTERS = _byte_letters()
 class WordIds:
     """Word, as the tokenizer cuts them -> its ids as bytes; words seen of late are kept in two generations."""
 
-    def __init__(self, path: str, most: int = 600_000):
+    def __init__(self, path: str, most: int = 200_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 

@@ -133,7 +133,7 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 5
     return np.r_[w[:-1] / scale, w[-1]]
 
 
-def train(docs: DataFrame, labels: DataFrame, per_class: int = 2000, max_bytes: int = 12_000_000) -> Bigrams | None:
+def train(docs: DataFrame, labels: DataFrame, per_class: int = 2000, max_bytes: int = 6_000_000) -> Bigrams | None:
     """Fit on at most ``per_class`` labelled texts a class; a third of them, by hash, only for the logistic."""
     chosen, found = [], []
     known = labels.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
