@@ -8,7 +8,9 @@ score is a logistic of the length-normalised log-likelihood difference and of ho
 much of it comes from strong words, fitted on labelled texts that the models have not seen.
 
 Fitting takes a bounded sample: at most ``per_class`` labelled texts of a class
-and ``max_bytes`` bytes of whole texts a class, in hash order.  Scoring covers all
+and ``max_bytes`` bytes of whole texts a class, in hash order; a text that no longer
+fits is passed over.  Ordinary texts are not cut down to the number of toxic ones: the
+more of them, the better the ordinary words of smaller languages are known.  Scoring covers all
 rows and whole texts.  Null and empty texts score the logistic's value at no
 evidence, at most 0.5.  Without labels of both classes every score is 0.
 """
@@ -141,10 +143,12 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = 2000, max_bytes:
         ids = known.where(F.col("toxic") == c).orderBy(F.xxhash64(F.lit(5), "doc_id"), "doc_id").limit(per_class).select("doc_id")
         sizes = docs.join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.max(F.octet_length("text")).alias("size")).orderBy(F.xxhash64(F.lit(5), "doc_id"), "doc_id").collect()
         found.append([(doc, size or 0) for doc, size in sizes])  # at most per_class rows
-    room = min(max_bytes, *(sum(size for _, size in x) for x in found))  # as much text of either class
     for c, sizes in enumerate(found):
-        ends = np.cumsum([size for _, size in sizes])
-        chosen += [(doc, c) for (doc, _), end in zip(sizes, ends, strict=True) if end <= room]
+        room = max_bytes
+        for doc, size in sizes:
+            if size <= room:
+                chosen.append((doc, c))
+                room -= size
     if len({c for _, c in chosen}) < 2:
         return None
     spark = docs.sparkSession
