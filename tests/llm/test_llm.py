@@ -91,6 +91,21 @@ def test_chain_is_best_on_small_cases():
             assert all(a[0] + a[2] <= b[0] and a[1] + a[2] <= b[1] for a, b in zip(c, c[1:], strict=False))
 
 
+def test_chain_looks_past_a_predecessor_too_far_off():
+    far, one, two = (0, 0, 200), (240, 240, 49), (290, 289, 49)
+    assert [one, two] in substring_dedup.chain([far, one, two])
+    rng = random.Random(7)
+    for _ in range(200):
+        seg = sorted({(rng.randrange(120), rng.randrange(120), rng.randrange(1, 20)) for _ in range(12)})
+        best, cost = [], substring_dedup.GAP_COST
+        for d, p, n in seg:
+            gaps = [(d - a - m, p - b - m, s) for (a, b, m), s in zip(seg, best, strict=False)]
+            best.append(n + max([s - cost * (x + y) for x, y, s in gaps if 0 <= x <= substring_dedup.MAX_GAP and 0 <= y <= substring_dedup.MAX_GAP] + [0]))
+        got = substring_dedup.chain(seg)[0]
+        value = sum(x[2] for x in got) - cost * sum(y[0] - x[0] - x[2] + y[1] - x[1] - x[2] for x, y in zip(got, got[1:], strict=False))
+        assert value == pytest.approx(max(best))
+
+
 def test_packing(spark):
     from tokenizers import Tokenizer
 
