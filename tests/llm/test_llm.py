@@ -106,6 +106,16 @@ def test_chain_looks_past_a_predecessor_too_far_off():
         assert value == pytest.approx(max(best))
 
 
+def test_substring_finds_the_holder_behind_changing_partners(spark):
+    rng = random.Random(8)
+    p = words(rng, 120)
+    # documents 1-6 and 20-25 each hold a different 32 of the 120 words that 10 and 30 hold whole
+    rows = [(base + i, " ".join(words(rng, 30) + p[20 * i : 20 * i + 32] + words(rng, 30))) for base in (1, 20) for i in range(6)]
+    rows += [(d, " ".join(words(rng, 40) + p + words(rng, 40))) for d in (10, 30)]
+    out = {r.doc_id: r for r in substring_dedup.substring_dedup(docs(spark, rows)).collect()}
+    assert out[30].n_dup_words == 120 and all(r.n_dup_words == 0 for r in out.values() if r.doc_id < 30)
+
+
 def test_packing(spark):
     from tokenizers import Tokenizer
 
