@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
@@ -46,10 +47,13 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: spark.checkpoint.dir, or one of our own if unset."""
+    """Folder that driver and executors share: spark.checkpoint.dir.  Unset, it is one of our own in local mode and an error on a cluster."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="shared-"))
+        at = spark.conf.get("spark.checkpoint.dir", None)
+        if at is None and sc.master.split("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        sc.setCheckpointDir(at or tempfile.mkdtemp(prefix="shared-"))
     return sc.getCheckpointDir()
 
 
@@ -120,6 +124,59 @@ class WordHash(dict):
 
 
 _WORDS = WordHash()
+#: What a task may keep while it runs; emptied at its end, as workers live on.
+KEPT: list = [_WORDS]
+try:
+    _TRIM = ctypes.CDLL(None).malloc_trim
+except (OSError, AttributeError):  # not glibc
+    _TRIM = None
+
+
+def forget() -> None:
+    """Empty the caches and give freed memory back."""
+    for kept in KEPT:
+        kept.clear()
+    pa.default_memory_pool().release_unused()
+    if _TRIM is not None:
+        _TRIM(0)
+
+
+def lean(run):
+    """A task function over batches that leaves nothing behind in its worker."""
+
+    def task(batches):
+        try:
+            yield from run(batches)
+        finally:
+            forget()
+
+    return task
+
+
+def lean_group(run):
+    """The same for a function of one group."""
+
+    def task(key, tbl):
+        try:
+            return run(key, tbl)
+        finally:
+            forget()
+
+    return task
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """``name``, or with underscores before it, so that no column of ``df`` has it."""
+    have = {c.lower() for c in df.columns}
+    while name.lower() in have:
+        name = "_" + name
+    return name
+
+
+def plain(df: DataFrame, **cols: str) -> DataFrame:
+    """Columns by their new names and no others, whatever else a table holds; the package goes to the executors with it."""
+    ship(df.sparkSession)
+    return df.select(*(F.col(f"`{old}`").alias(new) for new, old in cols.items()))
 _ODD = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9)]
 
 

@@ -21,6 +21,7 @@ import re
 import unicodedata
 import zlib
 from array import array
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -28,7 +29,7 @@ import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import batch, checkpointed
+from .common import KEPT, batch, checkpointed, lean, plain
 from .ngram_join import ddl
 
 _CACHES: dict = {}
@@ -40,6 +41,14 @@ _LATIN = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]
 _ANY = regex.compile(r"'[sS]|'[tT]|'[rR][eE]|'[vV][eE]|'[mM]|'[lL][lL]|'[dD]|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
 
 
+@cache
+def _newer() -> re.Pattern:
+    """Letters and numbers that came after Unicode 3.2, and all beyond its first plane: libraries may differ on them, so texts with one go whole."""
+    plane = "".join(chr(c) for c in range(0x10000) if not 0xD800 <= c < 0xE000)
+    late = (c for c in regex.findall(r"[\p{L}\p{N}]", plane) if unicodedata.ucd_3_2_0.category(c) == "Cn")
+    return re.compile("[" + "".join(map(re.escape, late)) + "]|[\U00010000-\U0001efff\U0001f100-\U0001f10c\U0001fbf0-\U0001fbf9\U00020000-\U0010ffff]")
+
+
 def _latin(text: str) -> bool:
     try:
         text.encode("latin-1")
@@ -74,7 +83,8 @@ class WordIds:
             if (known := self.old.get(w)) is not None:
                 now[w] = known
             elif w == w.lower() and (w.isascii() or _latin(w)):  # nothing left for the tokenizer but its merges
-                now[w] = array("I", [t.id for t in self.model.tokenize(w if w.isascii() else w.encode().decode("latin-1").translate(_LETTERS))]).tobytes()
+                seen = w.isascii() and w.isprintable()  # such bytes are their own letters
+                now[w] = array("I", [t.id for t in self.model.tokenize(w if seen else w.encode().decode("latin-1").translate(_LETTERS))]).tobytes()
             else:
                 new.append(w)
         for at in range(0, len(new), 20_000):
@@ -83,7 +93,7 @@ class WordIds:
                 now[w] = array("I", e.ids).tobytes()
 
     def ids(self, texts: list[str]) -> list[np.ndarray]:
-        """Ids of whole texts.  Texts with a special token's mark, or a capital that lower-cases to two characters, go whole."""
+        """Ids of whole texts.  Texts with a special token's mark, a capital that lower-cases to two characters or a letter of a later Unicode go whole."""
         if len(self.now) > self.most:
             self.now, self.old = {}, self.now
         cut = []
@@ -94,15 +104,22 @@ class WordIds:
                 cut.append(_ASCII.findall(t.lower()))
             elif _latin(t):
                 cut.append(_LATIN.findall(t.lower()))
+            elif _newer().search(t):
+                cut.append(None)
             else:
                 cut.append(_ANY.findall(t if unicodedata.is_normalized("NFC", t) else unicodedata.normalize("NFC", t)))
         self._learn(set().union(*(x for x in cut if x)).difference(self.now))
         return [np.array(self.tok.encode(t, add_special_tokens=False).ids, np.uint32) if x is None else np.frombuffer(b"".join(map(self.now.__getitem__, x)), np.uint32) for t, x in zip(texts, cut, strict=True)]
 
 
+    def clear(self) -> None:
+        self.now, self.old = {}, {}
+
+
 def tokenizer(path: str) -> WordIds:
     if path not in _CACHES:
         _CACHES[path] = WordIds(path)
+        KEPT.append(_CACHES[path])
     return _CACHES[path]
 
 
@@ -132,7 +149,7 @@ def _token_rows(path: str, window: int, end: int, group: int = 256):
                 if out[0]:
                     yield batch(_PIECE, *out)
 
-    return run
+    return lean(run)
 
 
 def best_fill(counts: dict[int, int], room: int) -> dict[int, int]:
@@ -350,7 +367,7 @@ def _cut_crcs(path: str, end: int):
                 rows = [(doc, h, c["start"], c["length"], zlib.crc32(ids[c["start"] : c["start"] + c["length"]].tobytes())) for c in cuts]
                 yield batch(_CRC, *zip(*rows, strict=True))
 
-    return run
+    return lean(run)
 
 
 def pack(docs: DataFrame, tokenizer_path: str, window: int = 4096, end: int = 2, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 20_000) -> DataFrame:
