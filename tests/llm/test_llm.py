@@ -6,6 +6,7 @@ import zlib
 import numpy as np
 import public_tokenizers
 import pytest
+from pyspark.sql import functions as F
 
 from vicicorr.llm import common, curve_ann, langid, lattice_lm, line_dedup, merge_dropout, ngram_join, packing, quality, substring_dedup, toxicity
 
@@ -52,14 +53,17 @@ def brute_components(rows):
     return {d: (len(sets[d]), root(d)) for d in ids}
 
 
-@pytest.mark.parametrize("tile", [2, 1024])
-def test_ngram_join(spark, texts, tile, monkeypatch):
+@pytest.mark.parametrize(("tile", "few"), [(2, 10), (1024, 20_000), (1024, 0)])
+def test_ngram_join(spark, texts, tile, few, monkeypatch):
     monkeypatch.setattr(ngram_join, "_TILE", tile)
+    monkeypatch.setattr(ngram_join, "_FEW", few)
     got = ngram_join.ngram_components(docs(spark, texts, True)).collect()
     assert len(got) == len(texts)
     want = brute_components(texts)
     assert all((r.n_shingles, r.component_id) == want[r.doc_id] for r in got if r.doc_id is not None)
     assert ngram_join.ngram_components(docs(spark, [])).count() == 0
+    kept = ngram_join.keep_one(docs(spark, texts, True).withColumnRenamed("doc_id", "key").withColumn("doc_id", F.lit("z")), id_col="key")
+    assert {r.key for r in kept.collect()} == {want[d][1] for d in want if d is not None} | {None}
 
 
 def test_line_dedup(spark):
@@ -69,8 +73,17 @@ def test_line_dedup(spark):
     assert len(out) == len(rows)
     assert by[1, 3] == (0, rows[0][1]) and by[None, 1] == (0, "a long line here")
     assert by[4, 2] == (2, "") and by[3, 1] == (0, "")
-    # rows that repeat an id lose the same lines, by position
-    assert by[2, 3] == (1, "short\r\n") and by[2, 1] == (1, "")
+    # rows that repeat an id count as one document, and each loses the lines of its own text only
+    assert by[2, 3] == (1, "short\r\n") and by[2, 1] == (0, "x")
+
+
+def test_line_dedup_keeps_what_a_repeated_id_holds_alone(spark):
+    rows = [(1, "a line in both\nfirst"), (2, "a line in both\nsecond"), (2, "a line of its own\na line in both"), (2, "a line in both\nsecond")]
+    clash = docs(spark, rows).selectExpr("*", "1 AS __id", "2 AS `__drops`", "3 AS n_lines", "'x' AS h1")
+    out = line_dedup.line_dedup(clash)
+    assert sorted(out.columns) == sorted([*clash.columns, "n_dropped"])
+    assert sorted(r.text for r in out.collect()) == ["a line in both\nfirst", "a line of its own", "second", "second"]
+    assert line_dedup.line_dedup(docs(spark, [])).count() == 0
 
 
 def test_substring(spark):
@@ -121,16 +134,16 @@ def test_packing(spark):
 
     path = public_tokenizers.path("word_bpe_49k.json")
     rng = random.Random(1)
-    rows = [(i, " ".join(words(rng, rng.randrange(1, 400)))) for i in range(60)] + [(60, None), (61, ""), (7, "again"), (7, "again")]
+    rows = [(i, " ".join(words(rng, rng.randrange(1, 400)))) for i in range(8, 60)] + [(60, None), (61, ""), (7, "again"), (7, "again")]
+    rows += [(100 + i, f"ab{chr(i)}cd {chr(i)} {chr(i)}x") for i in range(256)]
     out = packing.pack(docs(spark, rows), path, window=256).collect()
     tok = Tokenizer.from_file(path)
     total = sum(len(tok.encode(t or "", add_special_tokens=False).ids) + 1 for _, t in rows)
     assert sum(r.length for r in out) == total
-    one = next(t for d, t in rows if d == 5)
-    ids = np.array(tok.encode(one, add_special_tokens=False).ids + [2], "<u4")
+    ids = {d: np.array(tok.encode(t or "", add_special_tokens=False).ids + [2], "<u4") for d, t in rows}
     for r in out:
-        if r.doc_id == 5:
-            assert zlib.crc32(ids[r.start : r.start + r.length].tobytes()) == r.ids_crc32
+        assert zlib.crc32(ids[r.doc_id][r.start : r.start + r.length].tobytes()) == r.ids_crc32 and r.doc_tokens == len(ids[r.doc_id])
+    assert packing.pack(docs(spark, []), path).count() == 0
     seqs = {}
     for r in out:
         seqs.setdefault(r.sequence_id, []).append((r.offset, r.length))
@@ -202,6 +215,23 @@ def test_nearest(spark):
         assert [got[q, k] for k in range(1, 11)] == want
 
 
+@pytest.mark.parametrize("groups", [0, 40])
+def test_curve_windows_alone_reach_the_recall(spark, groups):
+    rng = np.random.default_rng(6)
+    x = rng.standard_normal((3000, 24))
+    if groups:
+        x = rng.standard_normal((groups, 24))[rng.integers(0, groups, 3000)] + x / 8
+    rows = spark.createDataFrame([(i, v.tolist(), 1, 2) for i, v in enumerate(x)] + [(5, x[5].tolist(), 3, 4)], "vec_id long, embedding array<double>, id long, a long")
+    out = curve_ann.nearest(rows, exact=False).collect()
+    got, want = {(r.query_id, r.vec_id) for r in out}, set()
+    for q in range(0, 3000, 100):
+        d = ((x - x[q]) ** 2).sum(1)
+        d[q] = np.inf
+        want |= {(q, int(i)) for i in np.argsort(d)[:10]}
+    assert len(got & want) >= 0.9 * len(want)
+    assert curve_ann.nearest(rows.limit(0)).count() == 0
+
+
 def test_langid(spark):
     rows = [(i, ("der hund und die katze " if i % 2 else "the dog and the cat ") * 3, "de" if i % 2 else "en") for i in range(80)] + [(81, None, "en"), (82, "123 !", None)]
     out = langid.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()

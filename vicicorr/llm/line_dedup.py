@@ -7,8 +7,10 @@ hashes and positions are shuffled for counting; a key that a third of all lines
 share is pre-aggregated, and its join is one that AQE splits.
 
 Null or empty text is one empty line.  Rows with a null id take no part: they
-are neither counted nor cut.  Rows that repeat an id count as one document and
-lose the same lines.
+are neither counted nor cut.  Rows that repeat an id count as one document, and
+each loses the lines of its own text.  Very long texts go whole, as an array of
+lines; an empty table gives an empty one.  Other columns stay as they are, but for
+columns named n_lines or n_dropped, which the new ones replace.
 """
 
 from __future__ import annotations
@@ -16,34 +18,38 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE, lower_ascii
+from .common import SPACE, fresh, lower_ascii
+
+
+def _row(text):
+    """What tells rows of one id apart: rows with equal texts lose the same lines."""
+    return F.xxhash64(F.coalesce(text, F.lit("")))
 
 
 def _lines(docs: DataFrame, id_col: str, text_col: str, least_chars: int) -> DataFrame:
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.select(F.col(id_col).alias("id"), F.posexplode(F.split(text, "\n", -1)).alias("pos", "line")).where("id IS NOT NULL")
-    rows = rows.select("id", "pos", F.btrim("line", F.lit(SPACE)).alias("line")).where(F.char_length("line") >= least_chars)
+    text = F.col(f"`{text_col}`")
+    rows = docs.where(F.col(f"`{id_col}`").isNotNull()).select(F.col(f"`{id_col}`").alias("id"), _row(text).alias("row"), F.posexplode(F.split(F.coalesce(text, F.lit("")), "\n", -1)).alias("pos", "line"))
+    rows = rows.select("id", "row", "pos", F.btrim("line", F.lit(SPACE)).alias("line")).where(F.char_length("line") >= least_chars)
     key = lower_ascii(F.col("line"))
-    return rows.select("id", "pos", F.xxhash64(key).alias("h1"), F.xxhash64(F.lit(7), key).alias("h2"))
+    return rows.select("id", "row", "pos", F.xxhash64(key).alias("h1"), F.xxhash64(F.lit(7), key).alias("h2"))
 
 
 def dropped_lines(docs: DataFrame, least_chars: int = 10, least_docs: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Lines to drop: (id, drops: sorted distinct positions from 0)."""
+    """Lines to drop: (id, row: hash of the text, drops: sorted distinct positions from 0)."""
     lines = _lines(docs, id_col, text_col, least_chars)
     held = lines.groupBy("h1", "h2").agg(F.count_distinct("id").alias("n_docs"), F.min("id").alias("first")).where(F.col("n_docs") >= least_docs)
     gone = lines.join(held.select("h1", "h2", "first"), ["h1", "h2"]).where("id <> first")
-    return gone.groupBy("id").agg(F.sort_array(F.collect_set("pos")).alias("drops"))
+    return gone.groupBy("id", "row").agg(F.sort_array(F.collect_set("pos")).alias("drops"))
 
 
 def line_dedup(docs: DataFrame, least_chars: int = 10, least_docs: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` with ``text`` cut, plus n_lines (before) and n_dropped."""
-    clash = [c for c in ("__id", "__drops", "__lines") if c in docs.columns]
-    if clash:
-        raise ValueError(f"reserved column names: {clash}")
-    gone = dropped_lines(docs, least_chars, least_docs, id_col, text_col).select(F.col("id").alias("__id"), F.col("drops").alias("__drops"))
-    both = docs.join(gone.hint("shuffle_hash"), F.col(id_col) == F.col("__id"), "left").drop("__id")
-    both = both.withColumn("__lines", F.split(F.coalesce(F.col(text_col), F.lit("")), "\n", -1))
-    d, lines = F.col("__drops"), F.col("__lines")
+    c_id, c_row, c_drops, c_lines = (fresh(docs, f"__{c}") for c in ("id", "row", "drops", "lines"))
+    gone = dropped_lines(docs, least_chars, least_docs, id_col, text_col).toDF(c_id, c_row, c_drops)
+    text = F.col(f"`{text_col}`")
+    both = docs.join(gone.hint("shuffle_hash"), (F.col(f"`{id_col}`") == F.col(c_id)) & (_row(text) == F.col(c_row)), "left").drop(c_id, c_row)
+    both = both.withColumn(c_lines, F.split(F.coalesce(text, F.lit("")), "\n", -1))
+    d, lines = F.col(c_drops), F.col(c_lines)
 
     def part(k):
         """Lines after the drop before the k-th and before the k-th."""
@@ -52,9 +58,8 @@ def line_dedup(docs: DataFrame, least_chars: int = 10, least_docs: int = 2, id_c
         return F.slice(lines, start, F.greatest(stop - start + 1, F.lit(0)))
 
     kept = F.array_join(F.flatten(F.transform(F.sequence(F.lit(0), F.size(d)), part)), "\n")
-    out = both.withColumn("n_lines", F.size(lines).cast("long")).withColumn("n_dropped", F.coalesce(F.size(d), F.lit(0)).cast("long"))
-    out = out.withColumn("n_dropped", F.when(d.isNull(), F.lit(0)).otherwise(F.size(d)).cast("long"))
-    return out.withColumn(text_col, F.when(d.isNull(), F.coalesce(F.col(text_col), F.lit(""))).otherwise(kept)).drop("__drops", "__lines")
+    out = both.withColumn("n_lines", F.size(lines).cast("long")).withColumn("n_dropped", F.when(d.isNull(), F.lit(0)).otherwise(F.size(d)).cast("long"))
+    return out.withColumn(text_col, F.when(d.isNull(), F.coalesce(text, F.lit(""))).otherwise(kept)).drop(c_drops, c_lines)
 
 
 SQL = """
