@@ -8,9 +8,10 @@ unique shingles already fill its prefix is done.  The few others meet on their
 prefix shingles: first each with the smallest member of its list, a pair verified
 once after length, suffix and positional filters.  Lists with the same smallest
 member form a hub; within a hub, documents of different components so found meet
-in blocks, where bit-matrix products give all overlaps exactly.  So a group of
-thousands of near copies costs a pair for each copy, yet no link between
-components is lost.
+in blocks of bounded size.  There a product of 0/1 matrices over the prefixes
+alone finds the pairs that share a prefix key, each in the smallest hub that both
+are in, and these go through the same filters and one verification.  So a group of thousands
+of near copies costs a pair for each copy, yet no link between components is lost.
 
 Inputs: nulls in the text count as empty; empty texts have no shingle and link
 with nothing.  Rows with a null id come back with a null component and link
@@ -26,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NULL_ID, as_bytes, batch, binaries, checkpointed, narrow, range_bits, ranges_of, runs, shuffle_parts, stored, widen, window_hashes, word_hashes
+from .common import NULL_ID, as_bytes, batch, binaries, checkpointed, lean, lean_group, narrow, plain, range_bits, ranges_of, runs, stored, widen, window_hashes, word_hashes
 from .components import connected_components
 
 BLOCK_KEYS, BLOCK_DOCS = 1_000_000, 60_000
@@ -85,7 +86,7 @@ def _pack(bits: int, k: int):
         if ids:
             yield from flush()
 
-    return run
+    return lean(run)
 
 
 def _share(bits: int):
@@ -112,7 +113,7 @@ def _share(bits: int):
         none = [None] * len(rows)
         return pa.Table.from_batches([batch(_SHARED, *(list(c) for c in zip(*rows, strict=True)), none, none, none)] if rows else [], schema=_SHARED)
 
-    return run
+    return lean_group(run)
 
 
 def _order(percent: int):
@@ -135,7 +136,7 @@ def _order(percent: int):
         del dig
         return pa.Table.from_batches([batch(_SETS, [None if x == NULL_ID else int(x) for x in ids], n, [raw[16 * i : 16 * i + 16] for i in range(len(ids))], alone, prefix, payload)])
 
-    return run
+    return lean_group(run)
 
 
 _POST = pa.schema([("key", pa.int64()), ("cid", pa.int64()), ("n", pa.int64()), ("pos", pa.int64())])
@@ -165,33 +166,31 @@ def suffix_bound(x: np.ndarray, y: np.ndarray) -> int:
     return min(xl, yl) + min(len(x) - xl, len(y) - yl)
 
 
-def _verify(percent: int):
-    """Exact overlap of each candidate pair, after length and suffix filters."""
+def linked(n: int, m: int, x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """Whether two sets link, of sizes ``n`` and ``m`` with the shared keys ``x`` and ``y``: length, suffix and positional filters, then the overlap."""
+    least = -(-percent * (n + m) // (100 + percent))
+    if needed(max(n, m), percent) > min(n, m) or suffix_bound(x, y) < least:
+        return False
+    px, py = n - needed(n, percent) + 1 - (n - len(x)), m - needed(m, percent) + 1 - (m - len(y))
+    _, i, j = np.intersect1d(x[:px], y[:py], assume_unique=True, return_indices=True)
+    # positional filter: own keys come first, so place i of the shared ones leaves len(x) - i
+    if not len(i) or min(len(x) - i.min(), len(y) - j.min()) < least:
+        return False
+    both = len(np.intersect1d(x, y, assume_unique=True))
+    return 100 * both >= percent * (n + m - both)
+
 
+def _verify(percent: int):
     def run(batches):
         for b in batches:
-            out = []
-            for n, m, x, y in zip(*(b.column(i).to_pylist() for i in range(2, 6)), strict=True):
-                least = -(-percent * (n + m) // (100 + percent))
-                ok = needed(max(n, m), percent) <= min(n, m)
-                if ok:
-                    x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                    ok = suffix_bound(x, y) >= least
-                if ok:
-                    px, py = n - needed(n, percent) + 1 - (n - len(x)), m - needed(m, percent) + 1 - (m - len(y))
-                    _, i, j = np.intersect1d(x[:px], y[:py], assume_unique=True, return_indices=True)
-                    # positional filter: own keys come first, so place i of the shared ones leaves len(x) - i
-                    ok = len(i) > 0 and min(len(x) - i.min(), len(y) - j.min()) >= least
-                if ok:
-                    both = len(np.intersect1d(x, y, assume_unique=True))
-                    ok = 100 * both >= percent * (n + m - both)
-                out.append(ok)
-            yield batch(_LINK, b.column(0), b.column(1), out)
-
-    return run
-
-
-_TILE = 1024  # documents on a side of a block of pairs
+            rows = zip(*(b.column(i).to_pylist() for i in range(2, 6)), strict=True)
+            yield batch(_LINK, b.column(0), b.column(1), [linked(n, m, np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), percent) for n, m, x, y in rows])
+
+    return lean(run)
+
+
+_TILE = 512  # documents on a side of a block of pairs
+_FEW = 20_000  # candidate pairs of a block that are verified one by one; more, by one product over all their keys
 
 
 def _overlaps(a: list[np.ndarray], b: list[np.ndarray], step: int = 4096) -> np.ndarray:
@@ -217,10 +216,12 @@ def _block_links(percent: int):
     """Links between documents of different labels in each block of a hub: one for each (document, label)."""
 
     def run(key: tuple[pa.Scalar, ...], tbl: pa.Table) -> pa.Table:
-        d = tbl.select(["hub", "ta", "tb", "cid", "n", "label", "in_a", "in_b"]).to_pandas()
+        d = tbl.select(["hub", "ta", "tb", "cid", "n", "n_first", "label", "in_a", "in_b"]).to_pandas()
         sets = [np.frombuffer(x, np.uint64) for x in binaries(tbl, "shared")]
+        first = [x[:k] for x, k in zip(sets, d.n_first, strict=True)]
+        hubs = [frozenset(x) for x in binaries(tbl, "hubs")]
         out = []
-        for _, g in d.groupby(["hub", "ta", "tb"], sort=False):
+        for (hub, _, _), g in d.groupby(["hub", "ta", "tb"], sort=False):
             a, b = g.index[g.in_a], g.index[g.in_b]
             if not len(a) or not len(b):
                 continue
@@ -230,30 +231,37 @@ def _block_links(percent: int):
             rows, cols = np.flatnonzero(want.any(1)), np.flatnonzero(want.any(0))
             if not len(rows):
                 continue
-            both = _overlaps([sets[a[i]] for i in rows], [sets[b[j]] for j in cols])
             w = np.ix_(rows, cols)
-            i, j = np.nonzero(want[w] & (100 * both >= percent * (n[rows] + m[:, cols] - both)))
+            maybe = want[w] & (_overlaps([first[a[i]] for i in rows], [first[b[j]] for j in cols]) > 0)
+            many = maybe.sum() > _FEW
+            if many:
+                rows, cols = rows[maybe.any(1)], cols[maybe.any(0)]
+                both = _overlaps([sets[a[i]] for i in rows], [sets[b[j]] for j in cols])
+                maybe = want[np.ix_(rows, cols)] & (100 * both >= percent * (n[rows] + m[:, cols] - both))
             links = {}
-            for x, y in zip(rows[i], cols[j], strict=True):
-                links.setdefault((x, lb[y]), (int(d.cid.values[a[x]]), int(d.cid.values[b[y]])))
+            for i, j in zip(*(c[k] for c, k in zip((rows, cols), np.nonzero(maybe), strict=True)), strict=True):
+                x, y = a[i], b[j]
+                if (x, lb[j]) not in links and min(hubs[x] & hubs[y]) == hub and (many or linked(int(d.n.values[x]), int(d.n.values[y]), sets[x], sets[y], percent)):
+                    links[x, lb[j]] = (int(d.cid.values[x]), int(d.cid.values[y]))
             out += links.values()
         return pa.Table.from_batches([batch(_LINK, [x for x, _ in out], [y for _, y in out], [True] * len(out))] if out else [], schema=_LINK)
 
-    return run
+    return lean_group(run)
 
 
 def _hub_links(members: DataFrame, slim: DataFrame, percent: int) -> DataFrame:
     """members(hub, cid, label) -> links between different labels of a hub.
 
     The members of a hub's commonest label need no pairs among themselves; the
-    others meet them and each other in blocks of bounded size.
+    others meet them and each other in blocks of bounded size.  Small hubs share
+    tasks, about 64 a task.
     """
-    parts = 8 * shuffle_parts(members.sparkSession)
     by = members.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("c"))
     main = by.groupBy("hub").agg(F.max(F.struct("c", "label")).alias("main"), F.sum("c").alias("total")).where("main.c < total")
     tiles = lambda c: F.ceil(c / F.lit(_TILE))
     main = main.select("hub", F.col("main.label").alias("main"), tiles(F.col("main.c")).alias("tm"), tiles(F.col("total") - F.col("main.c")).alias("to"), F.col("total") <= _TILE)
-    main = main.toDF("hub", "main", "tm", "to", "small")
+    main = checkpointed(main.toDF("hub", "main", "tm", "to", "small"))
+    parts = max(1, main.where("small").count() // 64)
     m = members.join(main, "hub").withColumn("other", F.col("label") != F.col("main"))
     m = m.withColumn("tile", F.pmod(F.xxhash64("cid"), F.when(F.col("other"), F.col("to")).otherwise(F.col("tm"))))
     first = lambda x, y: F.struct(x.cast("long").alias("ta"), y.cast("long").alias("tb"), F.lit(True).alias("in_a"), F.lit(False).alias("in_b"))
@@ -265,14 +273,15 @@ def _hub_links(members: DataFrame, slim: DataFrame, percent: int) -> DataFrame:
     as_main = F.transform(F.sequence(F.lit(0).cast("long"), F.col("to") - 1), lambda k: second(k, t + F.col("to")))
     m = m.withColumn("at", F.explode(F.when(F.col("other"), F.concat(as_a, as_b)).otherwise(as_main)))
     bucket = F.when(F.col("small"), F.pmod(F.xxhash64("hub"), F.lit(parts))).otherwise(F.xxhash64("hub", "at.ta", "at.tb"))
-    m = m.select("hub", "cid", "label", bucket.alias("bucket"), "at.*").join(slim, "cid")
+    own = members.join(main.select("hub"), "hub", "left_semi").groupBy("cid").agg(F.collect_set("hub").alias("hubs"))  # no more than keys in a prefix
+    m = m.select("hub", "cid", "label", bucket.alias("bucket"), "at.*").join(slim.join(own, "cid"), "cid")
     return m.groupBy("bucket").applyInArrow(_block_links(percent), ddl(_LINK))
 
 
 def shingle_sets(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: id, set size, digest of the set, and for rows that may link the shared shingles, rarest first."""
     bits = range_bits(docs.sparkSession)
-    packed = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")).mapInArrow(_pack(bits, k), ddl(_PACKED))
+    packed = plain(docs, id=id_col, text=text_col).select(F.col("id").cast("long"), F.col("text").cast("string")).mapInArrow(_pack(bits, k), ddl(_PACKED))
     shared = packed.groupBy("grp").applyInArrow(_share(bits), ddl(_SHARED))
     return shared.groupBy("block").applyInArrow(_order(percent), ddl(_SETS))
 
@@ -283,7 +292,7 @@ def ngram_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     classes = sets.where("n > 0 AND doc_id IS NOT NULL").groupBy("digest").agg(F.min("doc_id").alias("cid"))
     reps = stored(sets.where("shared IS NOT NULL").dropDuplicates(["digest"]).join(classes, "digest").select("cid", "n", "n_own", "n_prefix", "shared"))
     posts = stored(reps.mapInArrow(_postings, ddl(_POST)))
-    slim = reps.select("cid", "n", "shared")
+    slim = reps.select("cid", "n", (F.col("n_prefix") - F.col("n_own")).alias("n_first"), "shared")
 
     def verified(pairs: DataFrame) -> DataFrame:
         left, right = (slim.select(F.col("cid").alias(c), F.col("n").alias(f"n_{c}"), F.col("shared").alias(f"s_{c}")) for c in "ab")
@@ -307,9 +316,9 @@ def ngram_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     return sets.select("doc_id", "n", "digest").join(found, "digest", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id")).alias("component_id"))
 
 
-def keep_one(docs: DataFrame, **kw) -> DataFrame:
+def keep_one(docs: DataFrame, id_col: str = "doc_id", **kw) -> DataFrame:
     """Drop all documents of a component but the one with the smallest id; rows of ``docs`` as they were.
 
     Rows with a null id stay.  Of repeated rows with the kept id all stay."""
-    ids = ngram_components(docs, **kw).where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(ids, "doc_id", "left_anti").select(*docs.columns)
+    gone = ngram_components(docs, id_col=id_col, **kw).where("doc_id <> component_id").select(F.col("doc_id").alias("gone")).distinct()
+    return docs.join(gone, docs[f"`{id_col}`"] == F.col("gone"), "left_anti").select(*(docs[f"`{c}`"] for c in docs.columns))
