@@ -1,19 +1,25 @@
 """Nearest neighbours along shifted space-filling curves.
 
-Vectors are projected on a few fixed random directions; several shifted Hilbert
-orderings of the projections are range-partitioned and sorted by Spark, a query
-reads its neighbouring key windows in each of them, and the windows merge and are
-reranked by exact distance.  That gives every query a radius that its k nearest
-cannot exceed.  An exact check follows: the first ordering is cut in windows of
+Vectors are projected on fixed random directions, another set for each of several
+shifted Hilbert orderings; Spark range-partitions and sorts these, which gives
+every row a place in each.  A query reads the rows within ``near`` places in every
+ordering; the windows merge and are reranked by exact distance.
+
+``near`` is fitted on a bounded sample of queries (``SAMPLE``, by hash), whose
+exact neighbours one pass over all rows finds: it is the least width whose windows
+hold a share ``recall`` of them.  On clustered vectors a few dozen places do; on
+vectors without any structure most rows must be read, as for every index.
+
+With ``exact`` a check follows: the first ordering is cut in windows of
 consecutive keys, each with its bounding ball, and a query's windows are widened
-to all whose ball reaches into its radius.  So the answer is exact at any size;
-how many windows are read depends on how well the vectors cluster.
+to all whose ball reaches into the radius that its windows gave.  So the answer is
+exact at any size.
 
 Vectors that are null, empty, zero or hold a null or non-finite component take no
 part, nor do those of another dimension than the commonest (the larger among
 equals) and rows with a null id.  Rows that repeat an id count once (the
 componentwise smallest vector).  Ties go to the smaller id.  Fewer than k
-candidates give all of them.
+candidates give all of them; an empty table gives none.  Other columns are not read.
 """
 
 from __future__ import annotations
@@ -23,11 +29,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import batch, checkpointed, shuffle_parts, stored
+from .common import batch, binaries, checkpointed, plain, shuffle_parts, stored
 from .ngram_join import ddl
 
-DIMS, BITS, CURVES = 8, 7, 4
-NEAR = 48  # rows read on each side of a query in each ordering
+DIMS, BITS, CURVES = 8, 7, 8
+SAMPLE, RECALL = 64, 0.95  # queries that fit the windows' width, and the share of their neighbours that windows must hold
+NEAR, BLOCK = 32, 8192  # least width on each side of a query; most rows of a block of an ordering
 WINDOW_ROWS, CHUNK = 512, 64  # vectors in a window, queries in a chunk
 GROUP = 64  # chunks that meet a window in one task
 
@@ -61,9 +68,9 @@ def hilbert(x: np.ndarray, bits: int = BITS) -> np.ndarray:
 
 
 def directions(dim: int, seed: int = 29) -> np.ndarray:
-    """Orthonormal columns, at most DIMS of them."""
-    q, _ = np.linalg.qr(np.random.default_rng(seed).standard_normal((dim, min(dim, DIMS))))
-    return q
+    """At most DIMS orthonormal columns for each ordering, side by side."""
+    rng = np.random.default_rng(seed)
+    return np.hstack([np.linalg.qr(rng.standard_normal((dim, min(dim, DIMS))))[0] for _ in range(CURVES)])
 
 
 def distances(q: np.ndarray, x: np.ndarray) -> np.ndarray:
@@ -96,12 +103,13 @@ _KEYED = pa.schema([("curve", pa.int64()), ("key", pa.int64()), ("id", pa.int64(
 
 def _keys(dim: int, mean: np.ndarray, sd: np.ndarray):
     def run(batches):
-        shift = np.random.default_rng(31).random((CURVES, len(mean)))
+        at, n = directions(dim), len(mean) // CURVES
+        shift = np.random.default_rng(31).random(len(mean))
         for b in batches:
-            p = np.clip((_vectors(b, dim) @ directions(dim) - mean) / (8 * sd) + 0.5, 0, 1)
+            p = np.clip((_vectors(b, dim) @ at - mean) / (8 * sd) + 0.5, 0, 1)
+            grid = ((p + shift) / 2 * ((1 << BITS) - 1)).astype(np.int64)
             for c in range(CURVES):
-                grid = ((p + shift[c]) / 2 * ((1 << BITS) - 1)).astype(np.int64)
-                yield batch(_KEYED, np.full(b.num_rows, c), hilbert(grid), b.column(0), b.column(1))
+                yield batch(_KEYED, np.full(b.num_rows, c), hilbert(grid[:, c * n : (c + 1) * n]), b.column(0), b.column(1))
 
     return run
 
@@ -118,34 +126,83 @@ def _best(ids: np.ndarray, dist: np.ndarray, k: int) -> np.ndarray:
     return some[np.lexsort((ids[some], dist[some]))][:k]
 
 
-def _windows(dim: int, k: int, every: int):
-    """Sorted keys of one ordering after another: each query against the rows about it."""
-
-    def answer(ids, v, curve, lo, hi):
-        for i in range(lo, hi):
-            if ids[i] % every == 0:
-                a, z = max(0, i - NEAR), min(len(ids), i + NEAR + 1)
-                some = np.r_[a:i, i + 1 : z]
-                some = some[curve[some] == curve[i]]
-                if len(some):
-                    d = distances(v[i][None], v[some])[0]
-                    best = _best(ids[some], d, k)
-                    yield batch(_NEAR, np.full(len(best), ids[i]), ids[some][best], d[best])
+def _nearest_to(ids: np.ndarray, q: np.ndarray, k: int):
+    """Stated queries against all rows, batch by batch: the k nearest of each in a batch."""
 
     def run(batches):
-        ids, curve, v, done = np.empty(0, np.int64), np.empty(0, np.int64), np.empty((0, dim)), 0
         for b in batches:
-            ids, curve = np.r_[ids, b.column(1).to_numpy()], np.r_[curve, b.column(0).to_numpy()]
-            v = np.r_[v, np.frombuffer(b"".join(b.column(2).to_pylist()), np.float64).reshape(-1, dim)]
-            stop = max(done, len(ids) - NEAR)
-            yield from answer(ids, v, curve, done, stop)
-            drop = max(0, stop - NEAR)
-            ids, curve, v, done = ids[drop:], curve[drop:], v[drop:], stop - drop
-        yield from answer(ids, v, curve, done, len(ids))
+            x = _vectors(b, q.shape[1])
+            mine = b.column(0).to_numpy()
+            d = distances(q, x)
+            d[ids[:, None] == mine[None, :]] = np.inf
+            for i, row in zip(ids, d, strict=True):
+                best = _best(mine, row, k)
+                best = best[np.isfinite(row[best])]
+                yield batch(_NEAR, np.full(len(best), i), mine[best], row[best])
+
+    return run
+
+
+def places(ordered: DataFrame) -> DataFrame:
+    """ordered(curve, key, id, v, m), m a partition and a place in it -> with ``pos``, the place in the whole order."""
+    spark = ordered.sparkSession
+    part = F.shiftright("m", 33)
+    at, rows = 0, []
+    for p, n in sorted(tuple(r) for r in ordered.groupBy(part.alias("p")).count().collect()):  # a row a partition
+        rows.append((p, at))
+        at += n
+    base = F.broadcast(spark.createDataFrame(rows, "p long, base long"))
+    return ordered.withColumn("p", part).join(base, "p").select("curve", "id", "v", (F.col("base") + F.col("m").bitwiseAND(F.lit((1 << 33) - 1))).alias("pos"))
+
+
+def fitted_width(packed: DataFrame, placed: DataFrame, dim: int, k: int, every: int, recall: float) -> int:
+    """Least number of places that holds ``recall`` of the sample's neighbours in one ordering or another."""
+    some = packed.where(F.col("id") % every == 0).orderBy(F.xxhash64(F.lit(3), "id"), "id").limit(SAMPLE).collect()
+    if not some:
+        return NEAR
+    q = np.array([r.id for r in some], np.int64)
+    hits = packed.mapInArrow(_nearest_to(q, np.array([np.frombuffer(r.v, np.float64) for r in some]), k), ddl(_NEAR))
+    best = hits.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))).where(F.col("r") <= k).collect()  # SAMPLE x k rows
+    if not best:
+        return NEAR
+    wanted = sorted({*q.tolist(), *(r.vec_id for r in best)})
+    at = {(r.curve, r.id): r.pos for r in placed.where(F.col("id").isin(wanted)).select("curve", "id", "pos").collect()}
+    gaps = sorted(min(abs(at[c, r.query_id] - at[c, r.vec_id]) for c in range(CURVES)) for r in best)
+    return max(NEAR, gaps[min(len(gaps) - 1, int(np.ceil(recall * len(gaps))))])
+
+
+def _block_best(dim: int, k: int, near: int):
+    """Within a block of an ordering: each query against the rows at most ``near`` places off."""
+
+    def run(key: tuple[pa.Scalar, ...], tbl: pa.Table) -> pa.Table:
+        ids, pos, side = (tbl.column(c).to_numpy() for c in ("id", "pos", "side"))
+        v = np.frombuffer(b"".join(binaries(tbl, "v")), np.float64).reshape(-1, dim)
+        rows, asked, out = np.flatnonzero(side == 0), np.flatnonzero(side == 1), []
+        rows = rows[np.argsort(pos[rows], kind="stable")]
+        for i in asked:
+            some = rows[np.searchsorted(pos[rows], pos[i] - near) : np.searchsorted(pos[rows], pos[i] + near, side="right")]
+            some = some[ids[some] != ids[i]]
+            if len(some):
+                d = distances(v[i][None], v[some])[0]
+                best = _best(ids[some], d, k)
+                out.append((np.full(len(best), ids[i]), ids[some][best], d[best]))
+        return pa.Table.from_batches([batch(_NEAR, *(np.concatenate(c) for c in zip(*out, strict=True)))] if out else [], schema=_NEAR)
 
     return run
 
 
+def in_windows(placed: DataFrame, dim: int, k: int, every: int, near: int) -> DataFrame:
+    """(query_id, vec_id, score): the best of each query's windows, a row once.
+
+    Orderings are cut in blocks of equal numbers of rows; a query goes to the blocks
+    that its window touches, so a block is met by the queries about it alone."""
+    width = min(max(near, 256), BLOCK)
+    rows = placed.select("curve", F.floor(F.col("pos") / width).alias("block"), "id", "pos", "v", F.lit(0).alias("side"))
+    reach = F.sequence(F.floor((F.col("pos") - near) / width), F.floor((F.col("pos") + near) / width))
+    asked = placed.where(F.col("id") % every == 0).select("curve", F.explode(reach).alias("block"), "id", "pos", "v", F.lit(1).alias("side"))
+    return rows.union(asked).groupBy("curve", "block").applyInArrow(_block_best(dim, k, near), ddl(_NEAR)).distinct()
+
+
 _TILE = pa.schema([("tile", pa.int64()), ("n", pa.int64()), ("ids", pa.binary()), ("vs", pa.binary()), ("centre", pa.binary()), ("radius", pa.float64()), ("reach", pa.binary()), ("reach_most", pa.float64())])
 
 
@@ -225,12 +282,14 @@ def _pack_vectors(batches):
         yield pa.RecordBatch.from_arrays([b.column(0), pa.array([np.array(v, np.float64).tobytes() for v in b.column(1).to_pylist()], pa.binary())], names=["id", "v"])
 
 
-def nearest(vectors: DataFrame, k: int = 10, every: int = 100, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
-    """The k nearest of every vector whose id ``every`` divides: query_id, rank, vec_id, score (distance)."""
+def nearest(vectors: DataFrame, k: int = 10, every: int = 100, id_col: str = "vec_id", vector_col: str = "embedding", recall: float = RECALL, exact: bool = True) -> DataFrame:
+    """The k nearest of every vector whose id ``every`` divides: query_id, rank, vec_id, score (distance).
+
+    Without ``exact`` the answer is what the orderings' windows hold."""
     spark = vectors.sparkSession
     parts = shuffle_parts(spark)
     arr = F.col("a")
-    rows = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("a")).where("id IS NOT NULL AND size(a) > 0")
+    rows = plain(vectors, id=id_col, a=vector_col).select(F.col("id").cast("long"), F.col("a").cast("array<double>")).where("id IS NOT NULL AND size(a) > 0")
     fine = F.forall(arr, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf"))) & F.exists(arr, lambda x: x != 0)
     rows = rows.where(fine)
     sizes = rows.groupBy(F.size("a").alias("n")).count().orderBy(F.desc("count"), F.desc("n")).limit(1).collect()
@@ -245,10 +304,14 @@ def nearest(vectors: DataFrame, k: int = 10, every: int = 100, id_col: str = "ve
     mean = np.array([stats[d][1] / n for d in sorted(stats)])
     sd = np.sqrt(np.maximum([stats[d][2] / n - m * m for d, m in zip(sorted(stats), mean, strict=True)], 1e-30))
     keyed = packed.mapInArrow(_keys(dim, mean, sd), ddl(_KEYED)).repartitionByRange(parts, "curve", "key", "id").sortWithinPartitions("curve", "key", "id")
-    ordered = stored(keyed)
-    seeds = checkpointed(ordered.repartitionByRange(parts, "curve", "key", "id").sortWithinPartitions("curve", "key", "id").select("curve", "id", "v").mapInArrow(_windows(dim, k, every), ddl(_NEAR)).distinct())
+    ordered = stored(keyed.withColumn("m", F.monotonically_increasing_id()))
+    placed = places(ordered)
+    near = fitted_width(packed, placed, dim, k, every, recall)
+    seeds = checkpointed(in_windows(placed, dim, k, every, near))
     by_near = Window.partitionBy("query_id").orderBy("score", "vec_id")
     radius = seeds.withColumn("r", F.row_number().over(by_near)).groupBy("query_id").agg(F.count(F.lit(1)).alias("c"), F.max(F.when(F.col("r") <= k, F.col("score"))).alias("reach"))
+    if not exact:
+        return seeds.withColumn("rank", F.row_number().over(by_near)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
     first = ordered.where("curve = 0")
     along = lambda df: df.repartitionByRange(parts, "key", "id").sortWithinPartitions("key", "id")
     tiles = stored(along(first).select("id", "v").mapInArrow(_tiles(dim, WINDOW_ROWS, False), ddl(_TILE)))
