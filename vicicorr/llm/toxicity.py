@@ -12,7 +12,9 @@ and ``max_bytes`` bytes of whole texts a class, in hash order; a text that no lo
 fits is passed over.  Ordinary texts are not cut down to the number of toxic ones: the
 more of them, the better the ordinary words of smaller languages are known.  Scoring covers all
 rows and whole texts.  Null and empty texts score the logistic's value at no
-evidence, at most 0.5.  Without labels of both classes every score is 0.
+evidence, at most 0.5.  Without labels of both classes every score is 0.  Very long
+texts are scored whole; rows with null or repeated ids row by row; an empty table
+gives none.  Other columns stay as they are and are never inputs.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import _WORDS, as_bytes, fold
+from .common import _WORDS, as_bytes, fold, fresh, lean, ship
 
 STRONG = 4.0
 _START = np.uint64(1)
@@ -169,27 +171,32 @@ def _scores(model, names: list[str], text_at: int):
         m = model.value if model is not None else None
         for b in batches:
             score = [m.score(t) if m else 0.0 for t in as_bytes(b.column(text_at))]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=[*names, "__score"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=names)
 
-    return run
+    return lean(run)
 
 
-def score(docs: DataFrame, model: Bigrams | None, text_col: str = "text") -> DataFrame:
-    """``docs`` with one more column, ``__score``."""
-    sent = docs.sparkSession.sparkContext.broadcast(model) if model is not None else None
-    out = docs.withColumn("__score", F.lit(0.0)).schema
-    return docs.mapInArrow(_scores(sent, docs.columns, docs.columns.index(text_col)), out)
+def score(docs: DataFrame, model: Bigrams | None, text_col: str = "text", name: str = "score") -> DataFrame:
+    """``docs`` with one more column ``name``, which replaces one of that name."""
+    spark = docs.sparkSession
+    ship(spark)
+    docs = docs.drop(name)
+    sent = spark.sparkContext.broadcast(model) if model is not None else None
+    out = docs.withColumn(name, F.lit(0.0)).schema
+    return docs.mapInArrow(_scores(sent, out.names, docs.columns.index(text_col)), out)
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, rest: int = 1, cut: float = 0.7) -> DataFrame:
     """docs(doc_id, text) -> doc_id, held_out, score, predicted; learns where crc32 of the id modulo ``mod`` is not ``rest``."""
     held = fold("doc_id", mod) == rest
+    docs = docs.select("doc_id", "text")
     model = train(docs.where(~held).where("doc_id IS NOT NULL"), labels.where(fold("doc_id", mod) != rest))
-    out = score(docs.select("doc_id", "text"), model)
-    return out.select("doc_id", held.alias("held_out"), F.col("__score").alias("score"), F.when(F.col("__score") >= cut, 1).otherwise(0).alias("predicted"))
+    out = score(docs, model)
+    return out.select("doc_id", held.alias("held_out"), "score", F.when(F.col("score") >= cut, 1).otherwise(0).alias("predicted"))
 
 
 def keep_clean(docs: DataFrame, labels: DataFrame, cut: float = 0.7) -> DataFrame:
-    """Rows of ``docs`` whose score stays below ``cut``; learns from all labels."""
+    """Rows of ``docs`` whose score stays below ``cut``, columns as they were; learns from all labels."""
     model = train(docs.where("doc_id IS NOT NULL").select("doc_id", "text"), labels)
-    return score(docs, model).where(F.col("__score") < cut).drop("__score")
+    mark = fresh(docs, "__score")
+    return score(docs, model, name=mark).where(F.col(mark) < cut).drop(mark)
