@@ -93,6 +93,10 @@ def test_substring(spark):
     rows = [(1, " ".join(words(rng, 60) + p)), (2, " ".join(p + words(rng, 60))), (3, " ".join(words(rng, 40) + fuzzy)), (4, None), (5, " ".join(words(rng, 90)))]
     out = {r.doc_id: r for r in substring_dedup.substring_dedup(docs(spark, rows)).collect()}
     assert out[1].n_dup_words == 0 and out[5].n_dup_words == 0 and out[4].text == ""
+    clash = docs(spark, [*rows, (None, rows[0][1]), (2, rows[1][1])], True).selectExpr("*", "1 AS n_words", "2 AS __doc", "3 AS __chains")
+    again = substring_dedup.substring_dedup(clash)
+    assert sorted(again.columns) == sorted([*clash.columns, "n_dup_words", "spans"]) and again.where("doc_id = 2 AND n_dup_words = 80").count() == 2
+    assert substring_dedup.substring_dedup(docs(spark, [])).count() == 0
     assert out[2].n_dup_words == 80 and out[3].n_dup_words >= 75
 
 
@@ -238,6 +242,62 @@ def test_langid(spark):
     assert all(r.lang_pred == ("und" if r.doc_id > 80 else "de" if r.doc_id % 2 else "en") for r in out)
 
 
+def test_langid_scores_match_a_plain_count():
+    rng, texts = random.Random(4), ["", "a", "der hund", "x" * 700, "the dog and the cat " * 40]
+    model = np.log(np.random.default_rng(2).dirichlet(np.ones(langid.BUCKETS), 3).T).astype(np.float32)
+    prior = np.log(np.array([0.5, 0.3, 0.2]))
+    texts += [" ".join(words(rng, 30)) for _ in range(40)]
+    for t, got in zip(texts, langid.sparse_scores(texts, model, prior), strict=True):
+        want = prior.copy()
+        for h in langid.ngram_buckets(t):
+            for b in h.tolist():
+                want += model[b]
+        assert got == pytest.approx(want, rel=1e-6)
+
+
+def test_langid_learns_the_commonest_languages(spark):
+    rows = [(i, f"{'abc' if i % 5 else 'xyz'} text", "aa" if i % 5 else "bb") for i in range(50)] + [(None, "abc", "aa"), (3, "abc", "aa")]
+    d = spark.createDataFrame([(*r, 1) for r in rows], "doc_id long, text string, lang string, score int")
+    assert {r.lang_pred for r in langid.identify(d, most_langs=1).collect()} == {"aa"}
+    assert langid.identify(d.limit(0)).count() == 0
+
+
+def test_viterbi_is_best_of_all_labellings():
+    rng = np.random.default_rng(3)
+    for _ in range(20):
+        f = quality.LineField(rng.standard_normal(9), rng.standard_normal((2, 2)))
+        x = rng.integers(0, 2, (6, 9)).astype(float)
+        value = lambda y: float((x @ f.w) @ y + sum(f.t[a, b] for a, b in zip(y, y[1:], strict=False)))  # noqa: B023, E731
+        every = [[k >> i & 1 for i in range(6)] for k in range(64)]
+        assert value(f.decode(x).tolist()) == pytest.approx(max(map(value, every)))
+
+
+def test_quality_tells_boilerplate(spark):
+    rng, rows, labels = random.Random(12), [], []
+    for i in range(120):
+        lines = [" ".join(words(rng, 12)) + "." for _ in range(8)]
+        if i % 2:
+            lines = [lines[0]] + [rng.choice(["## $$ || && %%", "BUY NOW HERE FAST", "<< >> ## **"]) for _ in range(12)]
+        rows.append((i, "\n".join(lines)))
+        labels.append((i, 1 - i % 2))
+    d = docs(spark, [*rows, (500, None), (None, ""), (3, rows[3][1])], True)
+    lab = spark.createDataFrame([*labels, (None, 1), (7, None)], "doc_id long, quality int")
+    out = {r.doc_id: r for r in quality.quality(d, lab).collect()}
+    assert len(out) == 122 and not out[500].kept and out[500].base_failed
+    assert sum(out[i].kept == (i % 2 == 0) for i in range(120)) >= 118
+    assert quality.quality(d.limit(0), lab).count() == 0 and quality.quality(d, lab.limit(0)).count() == 123
+
+
+def test_dropout_digest(spark):
+    path = public_tokenizers.path("piece_bpe_32k.model")
+    rows = [(1, "the cat"), (1, "the cat"), (2, None), (None, ""), (3, "naïve\x00 日本 " * 3000)]
+    out = merge_dropout.encode_digest(docs(spark, rows, True), path).collect()
+    assert len(out) == 5 and all(r.lossless for r in out) and len({r.ids_crc32 for r in out if r.doc_id == 1}) == 1
+    back = merge_dropout.decode(merge_dropout.encode(docs(spark, rows), path), path).collect()
+    assert sorted(r.text for r in back) == sorted(t or "" for _, t in rows)
+    assert merge_dropout.encode_digest(docs(spark, []), path).count() == 0
+
+
 def test_quality_measures():
     assert quality.base_measures(None) == (0, 0, 0, 0, 0)
     assert quality.base_measures("a b c d e f\na b c d e f\n\n#") == (13, 13, 1, 1, 12)

@@ -2,11 +2,15 @@
 
 Counts are gathered by the executors from a sample of labelled rows of bounded
 size for each language, chosen by hash; the log-probability matrix (languages x
-buckets) goes to every task; texts are scored whole, in pieces of bounded size.
+buckets) is broadcast; texts are scored whole, a few at a time, as sparse rows of
+n-gram counts times that matrix.
+
+The model is bounded: it learns the ``most_langs`` commonest languages (ties by
+name), ``per_lang`` rows of each, so it never outgrows a broadcast.
 
 Null text or text without a letter gives ``und`` and score 0; so does an empty
 training set.  Ties go to the first language by name.  Rows with null or repeated
-ids are scored row by row.
+ids are scored row by row; an empty table gives none; other columns are not read.
 """
 
 from __future__ import annotations
@@ -18,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch, fold
+from .common import batch, fold, lean, plain
 from .ngram_join import ddl
 
 ORDERS, BUCKETS, PIECE = (1, 2, 3), 1 << 15, 1 << 18
@@ -61,16 +65,14 @@ def train(docs: DataFrame, per_lang: int = 2000, most_langs: int = 1000, smooth:
 
     docs(lang, text, key): the sample takes the rows whose hash of ``key`` falls
     in the share that makes ``per_lang`` rows.  The model has at most
-    ``most_langs`` x buckets numbers; more languages raise an error.
+    ``most_langs`` x buckets numbers, for the commonest languages.
     """
     rows = docs.where("lang IS NOT NULL AND text IS NOT NULL")
-    sizes = {r[0]: r[1] for r in rows.groupBy("lang").count().orderBy("lang").limit(most_langs + 1).collect()}
-    if len(sizes) > most_langs:
-        raise ValueError(f"more than {most_langs} languages")
+    sizes = {r[0]: r[1] for r in rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_langs).collect()}
     if not sizes:
         return [], np.zeros((BUCKETS, 0), np.float32), np.zeros(0)
     share = F.create_map(*(F.lit(x) for k, n in sizes.items() for x in (k, int(1e6 * min(1.0, per_lang / n)))))
-    some = rows.where(F.pmod(F.xxhash64(F.lit(11), "key"), F.lit(1_000_000)) < share[F.col("lang")])
+    some = rows.where(F.col("lang").isin(list(sizes)) & (F.pmod(F.xxhash64(F.lit(11), "key"), F.lit(1_000_000)) < share[F.col("lang")]))
     counts = some.select("lang", "text").mapInArrow(_count, ddl(_COUNT)).groupBy("lang", "bucket").agg(F.sum("c").alias("c")).collect()
     langs = sorted(sizes)
     m = np.full((BUCKETS, len(langs)), smooth)
@@ -81,29 +83,42 @@ def train(docs: DataFrame, per_lang: int = 2000, most_langs: int = 1000, smooth:
     return langs, np.log(m / m.sum(0)).astype(np.float32), np.log(total / total.sum())
 
 
-def _predict(langs: list[str], logp: np.ndarray, prior: np.ndarray):
+def sparse_scores(texts: list[str], logp: np.ndarray, prior: np.ndarray) -> np.ndarray:
+    """Log joint probability of each text and language: rows of counts, zeros left out, times the matrix."""
+    counts = np.zeros((len(texts), BUCKETS), np.int64)
+    for mine, text in zip(counts, texts, strict=True):
+        for h in ngram_buckets(text):
+            mine += np.bincount(h, minlength=BUCKETS)
+    row, bucket = np.nonzero(counts)
+    out = np.repeat(prior[None], len(texts), 0)
+    if len(row):
+        head = np.flatnonzero(np.r_[True, row[1:] != row[:-1]])
+        out[row[head]] += np.add.reduceat(counts[row, bucket][:, None] * logp[bucket].astype(np.float64), head, axis=0)
+    return out
+
+
+def _predict(sent, group: int = 32):
     def run(batches):
+        langs, logp, prior = sent.value
         for b in batches:
-            pred, score = [], []
-            for text in b.column(b.num_columns - 1).to_pylist():
-                if not langs or text is None or not _LETTER.search(text):
-                    pred.append("und")
-                    score.append(0.0)
-                    continue
-                s = prior.copy()
-                for h in ngram_buckets(text):
-                    s += logp[h].sum(0, dtype=np.float64)
-                e = np.exp(s - s.max())
-                pred.append(langs[int(s.argmax())])
-                score.append(float(e.max() / e.sum()))
+            texts = b.column(b.num_columns - 1).to_pylist()
+            pred, score = ["und"] * len(texts), [0.0] * len(texts)
+            known = [i for i, t in enumerate(texts) if langs and t is not None and _LETTER.search(t)]
+            for at in range(0, len(known), group):
+                some = known[at : at + group]
+                s = sparse_scores([texts[i] for i in some], logp, prior)
+                e = np.exp(s - s.max(1, keepdims=True))
+                for i, best, p in zip(some, s.argmax(1), e.max(1) / e.sum(1), strict=True):
+                    pred[i], score[i] = langs[best], float(p)
             cols = [b.column(i) for i in range(b.num_columns - 1)]
             yield pa.RecordBatch.from_arrays([*cols, pa.array(pred, pa.string()), pa.array(score, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score"])
 
-    return run
+    return lean(run)
 
 
 def identify(docs: DataFrame, mod: int = 4, rest: int = 2, **kw) -> DataFrame:
     """docs(doc_id, text, lang) -> doc_id, held_out, lang_pred, score; learns where crc32 of the id modulo ``mod`` is not ``rest``."""
+    docs = plain(docs, doc_id="doc_id", text="text", lang="lang")
     held = fold("doc_id", mod) == rest
-    model = train(docs.where(~held).select("lang", "text", F.col("doc_id").alias("key")), **kw)
-    return docs.select("doc_id", held.alias("held_out"), "text").mapInArrow(_predict(*model), "doc_id long, held_out boolean, lang_pred string, score double")
+    model = docs.sparkSession.sparkContext.broadcast(train(docs.where(~held).select("lang", "text", F.col("doc_id").alias("key")), **kw))
+    return docs.select(F.col("doc_id").cast("long"), held.alias("held_out"), "text").mapInArrow(_predict(model), "doc_id long, held_out boolean, lang_pred string, score double")

@@ -4,11 +4,15 @@ Each line gets binary features of its shape; Viterbi decoding of the field marks
 it content or boilerplate; a text stays if content lines hold a large enough
 share of its letters and the base rules do not fail it.  The field is trained by
 gradient ascent on the conditional likelihood of a bounded sample of labelled
-texts (``n_train`` in hash order): lines of texts with quality 1 are content,
-lines of texts with quality 0 are boilerplate where their own shape shows it.
+texts: ``n_train`` in hash order, and whole texts up to ``max_bytes`` bytes; one
+that no longer fits is passed over.  Only texts carry labels, so the lines' are
+latent: lines of texts with quality 1 are content, those of texts with quality 0
+start as boilerplate and are decoded anew by each field fitted, the likeliest
+boilerplate line of such a text staying one.
 
 Null text has no word and no line with a word: it fails the base rules.  Null
-and repeated ids are judged row by row.  Without labels a fixed prior field is used.
+and repeated ids are judged row by row; very long texts go whole; an empty table
+gives none; other columns are not read.  Without labels a fixed prior field is used.
 """
 
 from __future__ import annotations
@@ -20,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import runs, window_hashes, word_hashes
+from .common import lean, plain, runs, window_hashes
 
 SYMBOLS = "#*$%&|<>"
 _SYMBOL = re.compile("[#*$%&|<>]")
@@ -138,17 +142,33 @@ class LineField:
         return self
 
 
-def train(docs: DataFrame, labels: DataFrame, n_train: int = 400, most_lines: int = 200) -> LineField:
+def train(docs: DataFrame, labels: DataFrame, n_train: int = 400, max_bytes: int = 4_000_000, most_lines: int = 200, passes: int = 3) -> LineField:
     """Fit the field on ``n_train`` labelled texts, half of each quality; from a text the whole, in runs of ``most_lines`` lines."""
     known = labels.where("doc_id IS NOT NULL AND quality IS NOT NULL").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     some = [known.where(F.col("quality") == q).orderBy(F.xxhash64(F.lit(3), "doc_id"), "doc_id").limit(n_train // 2) for q in (0, 1)]
-    rows = docs.join(F.broadcast(some[0].union(some[1])), "doc_id").where("text IS NOT NULL AND length(text) < 200000").groupBy("doc_id", "quality").agg(F.max("text").alias("text")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n_train).collect()
-    data = []
-    for _, quality, text in rows:
-        x, _ = line_features(text)
-        y = (x[:, 1:7].any(1) & (quality == 0)).astype(int)
-        data += [(x[i : i + most_lines], y[i : i + most_lines]) for i in range(0, len(x), most_lines)]
-    return LineField().fit(data)
+    named = docs.where("text IS NOT NULL").join(F.broadcast(some[0].union(some[1])), "doc_id")  # at most n_train ids
+    sizes = named.groupBy("doc_id").agg(F.max(F.octet_length("text")).alias("size")).orderBy(F.xxhash64("doc_id"), "doc_id").collect()
+    chosen, room = [], max_bytes
+    for doc, size in sizes:
+        if size <= room:
+            chosen.append((doc,))
+            room -= size
+    if not chosen:
+        return LineField()
+    picked = docs.sparkSession.createDataFrame(chosen, "doc_id long")
+    rows = named.join(F.broadcast(picked), "doc_id").groupBy("doc_id", "quality").agg(F.max("text").alias("text")).orderBy(F.xxhash64("doc_id"), "doc_id").collect()
+    texts = [(quality, x) for _, quality, text in rows if len(x := line_features(text)[0])]
+    field = LineField()
+    for turn in range(passes):
+        data = []
+        for quality, x in texts:
+            y = np.full(len(x), int(quality == 0))
+            if quality == 0 and turn:
+                y = field.decode(x)
+                y[int((x @ field.w).argmax())] = 1
+            data += [(x[i : i + most_lines], y[i : i + most_lines]) for i in range(0, len(x), most_lines)]
+        field = LineField().fit(data)
+    return field
 
 
 def _judge(field: LineField, least_share: float):
@@ -165,11 +185,12 @@ def _judge(field: LineField, least_share: float):
             names = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "content_share", "kept"]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True) if out else [[]] * 9, kinds, strict=True)], names=names)
 
-    return run
+    return lean(run)
 
 
 def quality(docs: DataFrame, labels: DataFrame, least_share: float = 0.5, **kw) -> DataFrame:
     """docs(doc_id, text) -> the base measures, base_failed, content_share, kept."""
+    docs = plain(docs, doc_id="doc_id", text="text")
     field = train(docs, labels, **kw)
     kind = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, content_share double, kept boolean"
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_judge(field, least_share), kind)
