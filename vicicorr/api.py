@@ -38,25 +38,27 @@ class Pair:
             raise ValueError(f"no sampler {sampler!r}; there are {sorted(samplers.SAMPLERS)} and 'auto'")
         return replace(self, n=n, sampler=sampler, seed=seed)
 
+    def planned(self) -> Pair:
+        """With ``auto`` replaced by the planner's choice."""
+        return self if self.sampler != "auto" else replace(self, sampler=planner.choose_sampler(self.g, self.a, self.b, self.h, self.n).sampler)
+
     def references(self) -> DataFrame:
         """(node, w): the whole population, or the sample asked for."""
         if self.n is None:
             return kendall.reference_population(self.g, self.a, self.b, self.h).select("node", F.lit(1).cast("long").alias("w"))
-        name = self.sampler if self.sampler != "auto" else planner.plan_frame(self.g, self.a, self.b).where(F.col("h") == self.h).first().sampler
-        return samplers.SAMPLERS[name](self.g, self.a, self.b, self.h, self.n, seed=self.seed).select("node", "w")
+        return samplers.SAMPLERS[self.planned().sampler](self.g, self.a, self.b, self.h, self.n, seed=self.seed).select("node", "w")
 
     def densities(self) -> DataFrame:
         return kendall.densities(self.g, self.references(), self.a, self.b, self.h)
 
     def test(self, alpha: float = 0.05) -> DataFrame:
-        """One row: a, b, h, n, s, t, var_s, z, p_upper, p_lower, verdict; after importance draws also the reweighted t."""
+        """One row: a, b, h, n, t, z, p_upper, p_lower, verdict; after importance draws from the reweighted estimate, else with s and var_s."""
         named = [F.lit(self.a).alias("a"), F.lit(self.b).alias("b"), F.lit(self.h).alias("h")]
-        if self.n is None or self.sampler != "importance":
-            return kendall.kendall_test(self.densities(), alpha=alpha).select(*named, "*")
-        refs = cut(self.references())
-        dens = cut(kendall.densities(self.g, refs, self.a, self.b, self.h).join(refs, "node"))
-        t = kendall.weighted_tau(dens).select(F.col("t").alias("weighted_t"))
-        return kendall.kendall_test(dens, alpha=alpha).select(*named, "*").crossJoin(F.broadcast(t))  # one row
+        me = self.planned()
+        if me.n is None or me.sampler != "importance":
+            return kendall.kendall_test(me.densities(), alpha=alpha).select(*named, "*")
+        refs = cut(me.references())
+        return kendall.weighted_test(kendall.densities(me.g, refs, me.a, me.b, me.h).join(refs, "node"), alpha=alpha).select(*named, "*")
 
     def profile(self, hs: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
         """The test at each radius over that radius' own population, one row each."""

@@ -23,7 +23,10 @@ TOYS = {
     "toy_attract": (CLIQUES, [(1, "a"), (2, "a"), (3, "b"), (4, "b"), (11, "a"), (12, "b")]),
     "toy_repel": (CLIQUES, [(1, "a"), (2, "a"), (3, "a"), (21, "b"), (22, "b"), (11, "a"), (13, "b")]),
     "toy_line": (LINE, [(2, "a"), (3, "b")]),
+    "toy_both_low": (CLIQUES, [(1, "a"), (2, "b"), (11, "a"), (12, "b")]),
+    "toy_cross": (CLIQUES, [(1, "a"), (2, "a"), (11, "b"), (12, "b"), (21, "a"), (31, "b"), (32, "b")]),
 }
+SIGNS = ("toy_attract", "toy_repel", "toy_both_low", "toy_cross")
 
 
 def _values(rows) -> str:
@@ -46,10 +49,10 @@ def _union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-@query("toy_scenarios", " UNION ALL ".join(f"SELECT '{t}' AS toy, * FROM ({o.exact(t, 'a', 'b', 1)})" for t in ("toy_attract", "toy_repel")))
+@query("toy_scenarios", " UNION ALL ".join(f"SELECT '{t}' AS toy, * FROM ({o.exact(t, 'a', 'b', 1)})" for t in SIGNS))
 def _scenarios(s, d):
     """Events that never share a node: they attract where they meet in the same cliques, repel where they don't."""
-    return _union([tidy(kendall.exact_test(toy(s, t), "a", "b", 1)).select(F.lit(t).alias("toy"), "*") for t in ("toy_attract", "toy_repel")])
+    return _union([tidy(kendall.exact_test(toy(s, t), "a", "b", 1)).select(F.lit(t).alias("toy"), "*") for t in SIGNS])
 
 
 @query("toy_overlap", f"{o.dens('toy_line', 'a', 'b', 1)} SELECT node, c FROM dens")
@@ -59,8 +62,8 @@ def _overlap(s, d):
 
 
 # pairs on the given tables, with the transaction measure beside
-POSITIVE = [("page_path", "en", "fr", 1), ("doc_shingle", "q1", "t1", 1), ("doc_shingle", "q1", "t1", 2)]
-NEGATIVE = [("doc_shingle", "q0", "t1", 1), ("doc_shingle", "en", "fr", 2), (COP, A, B, 2), (COP, "Brand#4", "Brand#2", 3)]
+POSITIVE = [(g, a, b, h) for g, a, b in (("page_path", "en", "fr"), ("doc_shingle", "q1", "t1")) for h in (1, 2, 3) if (g, h) != ("doc_shingle", 3)]
+NEGATIVE = [("doc_shingle", "q0", "t1", 1), ("doc_shingle", "en", "fr", 2), *((COP, A, B, h) for h in (1, 2, 3)), *((COP, "Brand#4", "Brand#2", h) for h in (1, 2, 3))]
 
 
 def _beside_sql(g: str, a: str, b: str, h: int) -> str:
@@ -72,7 +75,6 @@ def _beside(s, d, pairs) -> DataFrame:
     out = []
     for name, a, b, h in pairs:
         g = graph(s, d, name)
-        g = EventGraph(cut(g.nodes), cut(g.edges), cut(g.occ.where(F.col("event").isin(a, b))))
         tc = baselines.transaction_measures(g, a, b).select(F.col("s").alias("tc_s"))
         t = tidy(kendall.exact_test(g, a, b, h)).select(F.lit(name).alias("graph"), F.lit(a).alias("a"), F.lit(b).alias("b"), F.lit(h).alias("h"), "n", "s", "z", "verdict")
         out.append(t.crossJoin(tc))  # one row each
@@ -94,7 +96,6 @@ def _va_sql(m: int) -> str:
 def _bfs_cost(s, d):
     """Nodes met and arcs read by the searches from 50 random roots, for each radius."""
     g = graph(s, d, "order_part")
-    g = EventGraph(cut(g.nodes), cut(g.edges), g.occ)
     roots = g.nodes.orderBy(key(F.col("id"), F.lit("va"))).limit(50).select(F.col("id").alias("root"))
     deg = g.adj.groupBy(F.col("u").alias("node")).agg(F.count(F.lit(1)).alias("deg"))
     reach = balls(g.adj, roots, 3).join(deg, "node", "left")
@@ -108,17 +109,16 @@ def _m_sql(m: int, h: int) -> str:
     return f"SELECT {m} AS m, {h} AS h, count(*) AS population, (SELECT count(*) FROM b{h}) AS ball_rows FROM s{h}"
 
 
-@query("sampling_cost_vs_m", " UNION ALL ".join(f"SELECT * FROM (WITH {o.graph('order_part')}, va AS MATERIALIZED ({_va_sql(m)}), {o.seeds(2, 'va')}, {o.roots(2, 'va')} " + " UNION ALL ".join(_m_sql(m, h) for h in (1, 2)) + ")" for m in SIZES))
+@query("sampling_cost_vs_m", " UNION ALL ".join(f"SELECT * FROM (WITH {o.graph('order_part')}, va AS MATERIALIZED ({_va_sql(m)}), {o.seeds(3, 'va')}, {o.roots(3, 'va')} " + " UNION ALL ".join(_m_sql(m, h) for h in (1, 2, 3)) + ")" for m in SIZES))
 def _sampling_cost(s, d):
     """Population that one search over ``m`` event nodes meets, and the ball rows that separate searches would."""
     g = graph(s, d, "order_part")
-    g = EventGraph(cut(g.nodes), cut(g.edges), g.occ)
     out = []
     for m in SIZES:
         va = cut(g.nodes.orderBy(key(F.col("id"), F.lit("va"))).limit(m).select(F.col("id").alias("node")))
-        pop, rows = (x.groupBy("dist").agg(F.count(F.lit(1)).alias(n)) for x, n in ((set_ball(g.adj, va, 2), "population"), (balls(g.adj, va.select(F.col("node").alias("root")), 2), "ball_rows")))
+        pop, rows = (x.groupBy("dist").agg(F.count(F.lit(1)).alias(n)) for x, n in ((set_ball(g.adj, va, 3), "population"), (balls(g.adj, va.select(F.col("node").alias("root")), 3), "ball_rows")))
         both = pop.join(rows, "dist", "full").na.fill(0)
-        hs = s.range(1, 3).select(F.col("id").cast("int").alias("h"))
+        hs = s.range(1, 4).select(F.col("id").cast("int").alias("h"))
         out.append(hs.join(both, F.col("dist") <= F.col("h")).groupBy(F.lit(m).alias("m"), "h").agg(F.sum("population").alias("population"), F.sum("ball_rows").alias("ball_rows")))
     return _union(out)
 
@@ -151,7 +151,6 @@ def _late(s, d):
 def _index(s, d):
     """Sizes for two radii, stored by radius and read back for one: the scan opens that folder alone."""
     g = graph(s, d)
-    g = EventGraph(cut(g.nodes), cut(g.edges), g.occ)
     at = f"{s.sparkContext.getCheckpointDir()}/vsize_{uuid.uuid4().hex}"
     index.vicinity_sizes(g, 1).unionByName(index.vicinity_sizes(g, 2)).repartition("h").write.partitionBy("h").parquet(at)
     return s.read.schema("node long, size long, h int").parquet(at).where("h = 2").groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("total"))

@@ -49,3 +49,8 @@ def var_bound(n: Column, tau: Column) -> Column:
 def required_n(tau: float, se: float) -> int:
     """References that keep the standard error of t below ``se``."""
     return -int(-(2 * (1 - tau * tau) / se**2) // 1)
+
+
+def two_sided(z: Column) -> Column:
+    """Chance of a standard normal farther from 0 than ``z`` on either side."""
+    return 2 * upper_p(F.abs(z))

@@ -2,17 +2,15 @@
 
 from __future__ import annotations
 
-import tempfile
-
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.graphs import shared_dir
+
 
 def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the cluster's shared folder (spark.checkpoint.dir), or a folder of our own if that is unset."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vicinity-"))
+    """Reliable checkpoint in the cluster's shared folder."""
+    shared_dir(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
@@ -64,7 +62,7 @@ def mask_balls(adj: DataFrame, roots: DataFrame, h: int, cut_from: int = 2) -> D
     Sixty-two roots travel in one BIGINT, so a hop is one ``bit_or`` aggregate with
     a row for each (block, node) instead of each (root, node).  roots(root, number)
     numbers the roots from 0."""
-    masks = roots.select(F.floor(F.col("number") / 62).alias("block"), F.col("root").alias("node"), F.expr("shiftleft(1L, int(number % 62))").alias("mask")).groupBy("block", "node").agg(F.bit_or("mask").alias("mask"))
+    masks = roots.select(F.expr("number div 62").alias("block"), F.col("root").alias("node"), F.expr("shiftleft(1L, int(number % 62))").alias("mask")).groupBy("block", "node").agg(F.bit_or("mask").alias("mask"))
     for d in range(h):
         step = masks.join(adj, masks.node == adj.u).select("block", F.col("v").alias("node"), "mask")
         masks = masks.unionByName(step).groupBy("block", "node").agg(F.bit_or("mask").alias("mask"))
@@ -73,6 +71,47 @@ def mask_balls(adj: DataFrame, roots: DataFrame, h: int, cut_from: int = 2) -> D
     return masks
 
 
+def numbered_roots(roots: DataFrame, block: int = 992) -> DataFrame:
+    """roots(root) -> (root, number), numbered from 0 within hash buckets of about ``block`` roots, so that no task sorts them all.
+
+    A bucket's numbers start at a multiple of 2**20 x 62, far above its size."""
+    roots = cut(roots.select("root").distinct())
+    buckets = max(1, -(-roots.count() // block))
+    at = F.pmod(F.xxhash64("root"), F.lit(buckets))
+    own = F.row_number().over(Window.partitionBy("bucket").orderBy("root")) - 1
+    return roots.withColumn("bucket", at).select("root", (F.col("bucket") * F.lit(62 << 20) + own).cast("long").alias("number"))
+
+
+def mask_counts(adj: DataFrame, roots: DataFrame, flags: DataFrame, h: int) -> DataFrame:
+    """(root, size, <nodes met with each flag>, c): ball sizes and flagged nodes of every root.
+
+    flags(node, f1, f2, ...) are booleans; ``c`` counts the flagged nodes met.  Set
+    bits are spread only within a task, on their way into its partial counts, so no row for
+    a (root, node) is ever shuffled or stored."""
+    numbers = numbered_roots(roots)
+    names = [c for c in flags.columns if c != "node"]
+    masks = mask_balls(adj, numbers, h, cut_from=max(h, 2)).join(flags, "node", "left")
+    place = F.explode(F.expr("filter(sequence(0, 61), i -> (shiftright(mask, i) & 1) = 1)"))
+    rows = masks.select("block", *names, place.alias("place"))
+    counts = rows.groupBy("block", "place").agg(F.count(F.lit(1)).alias("size"), *(F.count_if(x).alias(x) for x in names), F.count(names[0]).alias("c"))
+    return counts.withColumn("number", F.col("block") * 62 + F.col("place")).join(numbers, "number").select("root", "size", *names, "c")
+
+
+def hits_within(adj: DataFrame, roots: DataFrame, event: DataFrame, h: int) -> DataFrame:
+    """(node): roots(node) that see a node of event(node) within ``h`` hops; a root goes no further after its first hit."""
+    front = roots.select(F.col("node").alias("root"), "node").distinct()
+    event = event.select("node").distinct()
+    found, open_ = None, front
+    for d in range(h + 1):
+        hit = open_.join(event, "node", "left_semi").select("root").distinct()
+        found = hit if found is None else found.union(hit)
+        if d < h:
+            open_ = open_.join(hit, "root", "left_anti").join(adj, F.col("node") == F.col("u")).select("root", F.col("v").alias("node")).distinct()
+            if d >= 1:
+                open_, found = cut(open_), cut(found)
+    return found.select(F.col("root").alias("node")).distinct()
+
+
 def induced_edges(edges: DataFrame, nodes: DataFrame) -> DataFrame:
     """Edges with both ends among ``nodes``."""
     return edges.join(nodes.select(F.col("node").alias("src")), "src", "left_semi").join(nodes.select(F.col("node").alias("dst")), "dst", "left_semi").select("src", "dst")

@@ -5,10 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.stats import upper_p
 from ..sources.graphs import EventGraph
 from .balls import balls, cut, set_ball
-from .samplers import key
+from .kendall import value_test
+from .samplers import key, number
 
 
 def transaction_measures(g: EventGraph, a: str, b: str) -> DataFrame:
@@ -55,14 +55,28 @@ def proximity_pairs(g: EventGraph, alpha: float = 1.0, eps: float = 0.12, least:
     return both.where(F.col("total") >= least).crossJoin(g.nodes.agg(F.count(F.lit(1)).alias("n"))).select("a", "b", (F.col("total") / F.col("n")).alias("support"))
 
 
-def proximity_triples(g: EventGraph, alpha: float = 1.0, eps: float = 0.12, least: float = 10.0) -> DataFrame:
-    """(a, b, c, support): triples all of whose pairs are frequent, level-wise."""
-    r = reaches(g, alpha, eps)
-    p = proximity_pairs(g, alpha, eps, least).select("a", "b")
-    cand = p.toDF("a", "b").join(p.toDF("a", "c"), "a").where("b < c").join(p.toDF("b", "c"), ["b", "c"], "left_semi")
-    x = r.toDF("node", "a", "ra").join(cand, "a").join(r.toDF("node", "b", "rb"), ["node", "b"]).join(r.toDF("node", "c", "rc"), ["node", "c"])
-    t = x.groupBy("a", "b", "c").agg(F.sum(F.col("ra") * F.col("rb") * F.col("rc")).alias("total")).where(F.col("total") >= least)
-    return t.crossJoin(g.nodes.agg(F.count(F.lit(1)).alias("n"))).select("a", "b", "c", (F.col("total") / F.col("n")).alias("support"))
+def proximity_sets(g: EventGraph, alpha: float = 1.0, eps: float = 0.12, least: float = 10.0, sep: str = "|") -> DataFrame:
+    """(items, size, support): all sets of two and more events with support at least ``least`` / nodes, level by level until none is left.
+
+    A level joins sets that differ in their last event alone; a set's products over
+    the nodes that it reaches go on to the next level."""
+    r = cut(reaches(g, alpha, eps))
+    level = r.select("node", F.array("event").alias("items"), F.col("reach").alias("prod"))
+    frequent, found, size = level.select("items").distinct(), None, 1
+    while True:
+        head = F.slice("items", 1, size - 1) if size > 1 else F.array().cast("array<string>")
+        ends = frequent.select(F.array_join(head, sep).alias("head"), "items", F.element_at("items", -1).alias("last"))
+        wider = ends.join(ends.select("head", F.col("last").alias("event")), "head").where("last < event").select("items", "event")
+        rows = level.join(wider, "items").join(r, ["node", "event"]).select("node", F.concat("items", F.array("event")).alias("items"), (F.col("prod") * F.col("reach")).alias("prod"))
+        total = cut(rows.groupBy("items").agg(F.sum("prod").alias("total")).where(F.col("total") >= least))
+        if not total.count():
+            break
+        found = total if found is None else found.unionByName(total)
+        frequent = total.select("items")
+        level, size = cut(rows.join(frequent, "items", "left_semi").select("node", "items", "prod")), size + 1
+    if found is None:
+        return g.nodes.sparkSession.createDataFrame([], "items string, size int, support double")
+    return found.crossJoin(g.nodes.agg(F.count(F.lit(1)).alias("n"))).select(F.array_join("items", sep).alias("items"), F.size("items").alias("size"), (F.col("total") / F.col("n")).alias("support"))
 
 
 def average_distance(g: EventGraph, a: str, b: str, d_max: int = 4) -> DataFrame:
@@ -75,14 +89,17 @@ def average_distance(g: EventGraph, a: str, b: str, d_max: int = 4) -> DataFrame
     return out
 
 
-def distance_permutation(g: EventGraph, a: str, b: str, d_max: int = 3, rounds: int = 20, seed: int = 42) -> DataFrame:
+def distance_permutation(g: EventGraph, a: str, b: str, d_max: int = 3, rounds: int = 50, seed: int = 42) -> DataFrame:
     """Randomisation null of the mean distance: (observed, mean, sd, z, p_low) over ``rounds`` relabelings of b of the same size.
 
     All relabelings run in one search, keyed by round."""
     nb = g.occ.where(F.col("event") == b).count()
     spark = g.nodes.sparkSession
     draws = spark.range(rounds).select((F.col("id") + 1).alias("event"))
-    pick = g.nodes.crossJoin(draws).withColumn("r", F.row_number().over(Window.partitionBy("event").orderBy(key(F.col("id"), F.col("event"), seed=seed), "id"))).where(F.col("r") <= nb)
+    # a round sorts only the nodes in a hash range that holds twice those wanted and more
+    share = min(1.0, (2 * nb + 60) / max(g.nodes.count(), 1))
+    some = g.nodes.crossJoin(F.broadcast(draws)).where(number(F.col("id"), F.col("event"), seed=seed) < int(share * (1 << 60)))
+    pick = some.withColumn("r", F.row_number().over(Window.partitionBy("event").orderBy(key(F.col("id"), F.col("event"), seed=seed), "id"))).where(F.col("r") <= nb)
     seeds = pick.select("event", F.col("id").alias("node")).union(g.occ.where(F.col("event") == b).select(F.lit(0).cast("long"), "node"))
     near = front = seeds.withColumn("dist", F.lit(0))
     for d in range(1, d_max + 1):
@@ -164,5 +181,6 @@ def landmark_densities(g: EventGraph, refs: DataFrame, a: str, b: str, k: int =
     return both.groupBy("node").agg(F.sum(w * F.col("na")).alias("da"), F.sum(w * F.col("nb")).alias("db"), F.count(F.lit(1)).alias("distances"))
 
 
-def two_sided(z) -> object:
-    return 2 * upper_p(F.abs(z))
+def embedding_test(g: EventGraph, refs: DataFrame, a: str, b: str, k: int = 4, d_max: int = 4) -> DataFrame:
+    """The Kendall test on kernel densities by coordinate distance."""
+    return value_test(landmark_densities(g, refs, a, b, k, d_max))

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.stats import upper_p, var_with_ties, verdict
 from ..sources.graphs import EventGraph
-from .balls import balls, cut, set_ball
+from .balls import balls, cut, mask_counts, set_ball
 
 PAIRS_UP_TO = 20_000  # distinct density pairs; beyond, the rank grid
 
@@ -26,17 +26,32 @@ def out_of_sight(g: EventGraph, a: str, b: str, h: int) -> DataFrame:
 def densities(g: EventGraph, refs: DataFrame, a: str, b: str, h: int) -> DataFrame:
     """(node, size, cnt_a, cnt_b, c): ball size, nodes of either event, and of any, for each reference.
 
-    One hop needs no search: a ball is the node and its distinct neighbours."""
+    One hop needs no search: a ball is the node and its distinct neighbours.  From two
+    hops on the references travel as bits of masks."""
     flags = g.event_nodes(a, b)
-    if h == 1:
-        near = refs.select(F.col("node").alias("root")).join(g.adj, F.col("root") == F.col("u")).select("root", F.col("v").alias("node"))
-        reach = refs.select(F.col("node").alias("root"), "node").unionByName(near)
-    else:
-        reach = balls(g.adj, refs.select(F.col("node").alias("root")), h)
+    if h >= 2:
+        return mask_counts(g.adj, refs.select(F.col("node").alias("root")), flags.toDF("node", "cnt_a", "cnt_b"), h).withColumnRenamed("root", "node")
+    reach = refs.select(F.col("node").alias("root"), "node")
+    if h:
+        reach = reach.unionByName(reach.select("root").join(g.adj, F.col("root") == F.col("u")).select("root", F.col("v").alias("node")))
     both = reach.join(flags, "node", "left")
     return both.groupBy("root").agg(F.count(F.lit(1)).alias("size"), F.count_if("has_a").alias("cnt_a"), F.count_if("has_b").alias("cnt_b"), F.count("has_a").alias("c")).withColumnRenamed("root", "node")
 
 
+def weighted_densities(g: EventGraph, refs: DataFrame, a: str, b: str, h: int, intensity: DataFrame | None = None, decay: float = 1.0) -> DataFrame:
+    """(node, size, da, db): densities that count an event node by its intensity(node, event, q) and by ``decay`` for each hop."""
+    q = (g.occ.withColumn("q", F.lit(1.0)) if intensity is None else intensity).where(F.col("event").isin(a, b)).groupBy("node").agg(*(F.sum(F.when(F.col("event") == e, F.col("q").cast("double"))).alias(k) for e, k in ((a, "qa"), (b, "qb"))))
+    reach = balls(g.adj, refs.select(F.col("node").alias("root")), h).join(q, "node", "left")
+    mass = lambda k: F.sum(F.coalesce(F.col(k), F.lit(0.0)) * F.pow(F.lit(decay), F.col("dist"))) / F.count(F.lit(1))
+    return reach.groupBy("root").agg(F.count(F.lit(1)).alias("size"), mass("qa").alias("da"), mass("qb").alias("db")).withColumnRenamed("root", "node")
+
+
+def value_test(values: DataFrame, *by: str, digits: int = 9, **kw) -> DataFrame:
+    """The test on any two numbers (da, db) a reference; equal to ``digits`` places counts as a tie."""
+    whole = lambda c: F.round(F.col(c) * F.lit(10.0**digits)).cast("long")
+    return kendall_test(values.select(*by, F.lit(1).cast("long").alias("size"), whole("da").alias("cnt_a"), whole("db").alias("cnt_b")), *by, **kw)
+
+
 def profile(g: EventGraph, refs: DataFrame, a: str, b: str, hs: tuple[int, ...]) -> DataFrame:
     """Densities for several radii from one search: (h, node, size, cnt_a, cnt_b, c)."""
     reach = balls(g.adj, refs.select(F.col("node").alias("root")), max(hs)).join(g.event_nodes(a, b), "node", "left")
@@ -82,7 +97,10 @@ def kendall_test(dens: DataFrame, *by: str, alpha: float = 0.05) -> DataFrame:
     The densities, a few numbers a reference, are checkpointed: three aggregates
     read them, and the search behind them must not run thrice."""
     dens = cut(dens.select(*by, "size", "cnt_a", "cnt_b"))
-    p = pair_counts(dens, *by)
+    if not by and cells(dens).count() > PAIRS_UP_TO:
+        p = dens.agg(F.count(F.lit(1)).alias("n")).crossJoin(kendall_s_grid(dens).select(F.col("s").cast("long").alias("concordant"), F.lit(0).cast("long").alias("discordant")))
+    else:
+        p = pair_counts(dens, *by)
     for side in "ab":
         t = tie_sums(dens, side, *by)
         p = p.join(t, list(by)) if by else p.crossJoin(t)
@@ -94,45 +112,56 @@ def kendall_test(dens: DataFrame, *by: str, alpha: float = 0.05) -> DataFrame:
     return p.select(*by, "n", "s", "t", "var_s", "z", upper_p(F.col("z")).alias("p_upper"), upper_p(-F.col("z")).alias("p_lower"), verdict(F.col("z"), alpha).alias("verdict"))
 
 
-def weighted_tau(sample: DataFrame) -> DataFrame:
+def weighted_tau(sample: DataFrame, *by: str) -> DataFrame:
     """Reweighted estimate from draws(node, w, size, cnt_a, cnt_b, c): weights w / c, as the draw rate is in proportion to c."""
-    r = sample.select((F.col("cnt_a") / F.col("size")).alias("da"), (F.col("cnt_b") / F.col("size")).alias("db"), (F.col("w") / F.col("c")).alias("o"))
-    r = r.groupBy("da", "db").agg(F.sum("o").alias("o"))
-    x, y = (r.select(*(F.col(k).alias(f"{k}{i}") for k in ("da", "db", "o"))) for i in "12")
-    votes = x.join(y, F.col("da1") < F.col("da2")).agg(F.coalesce(F.sum(F.signum(F.col("db2") - F.col("db1")) * F.col("o1") * F.col("o2")), F.lit(0.0)).alias("v"))
-    norm = sample.select((F.col("w") / F.col("c")).alias("o")).agg(((F.sum("o") * F.sum("o") - F.sum(F.col("o") * F.col("o"))) / 2).alias("q"), F.count(F.lit(1)).alias("n"))
-    return votes.crossJoin(norm).select("n", F.when(F.col("q") > 0, F.col("v") / F.col("q")).alias("t"))
+    r = sample.select(*by, (F.col("cnt_a") / F.col("size")).alias("da"), (F.col("cnt_b") / F.col("size")).alias("db"), (F.col("w") / F.col("c")).alias("o"))
+    some = r.groupBy(*by, "da", "db").agg(F.sum("o").alias("o"))
+    x, y = (some.select(*by, *(F.col(k).alias(f"{k}{i}") for k in ("da", "db", "o"))) for i in "12")
+    later = F.col("da1") < F.col("da2")
+    votes = x.join(y, [x[k].eqNullSafe(y[k]) for k in by] + [later] if by else later).select(*(x[k] for k in by), (F.signum(F.col("db2") - F.col("db1")) * F.col("o1") * F.col("o2")).alias("v")).groupBy(*by).agg(F.sum("v").alias("v"))
+    norm = r.groupBy(*by).agg(((F.sum("o") * F.sum("o") - F.sum(F.col("o") * F.col("o"))) / 2).alias("q"), F.count(F.lit(1)).alias("n"))
+    out = norm.join(votes, list(by), "left") if by else norm.crossJoin(votes)
+    return out.select(*by, "n", F.when(F.col("q") > 0, F.coalesce("v", F.lit(0.0)) / F.col("q")).alias("t"))
+
+
+def weighted_test(sample: DataFrame, *by: str, alpha: float = 0.05) -> DataFrame:
+    """The test after importance draws: n, t (reweighted), var_t, z, p_upper, p_lower, verdict.
+
+    The variance is the tie-corrected one of the distinct references drawn, as a share of their pairs."""
+    sample = cut(sample.select(*by, "w", "size", "cnt_a", "cnt_b", "c"))
+    pairs = F.col("n") * (F.col("n") - 1) / 2
+    var = kendall_test(sample, *by, alpha=alpha).select(*by, F.when(F.col("n") > 1, F.col("var_s") / (pairs * pairs)).alias("var_t"))
+    t = weighted_tau(sample, *by)
+    out = t.join(var, list(by)) if by else t.crossJoin(var)
+    out = out.withColumn("z", F.when(F.col("var_t") > 0, F.col("t") / F.sqrt("var_t")))
+    return out.select(*by, "n", "t", "var_t", "z", upper_p(F.col("z")).alias("p_upper"), upper_p(-F.col("z")).alias("p_lower"), verdict(F.col("z"), alpha).alias("verdict"))
+
+
+def inversions(r: np.ndarray) -> int:
+    """Pairs i < j with r[i] > r[j], by merging halves of growing width."""
+    n, total, width = len(r), 0, 1
+    place = np.arange(n)
+    while width < n:
+        block, right = place // (2 * width), place // width % 2
+        order = np.lexsort((right, r, block))
+        left, b = 1 - right[order], block[order]
+        head = np.flatnonzero(np.r_[True, b[1:] != b[:-1]])
+        size = np.diff(np.r_[head, n])
+        upto = np.cumsum(left)
+        before = upto - np.repeat(upto[head] - left[head], size)
+        total += int(((np.repeat(np.add.reduceat(left, head), size) - before) * (1 - left)).sum())
+        width *= 2
+    return total
 
 
 def block_sum(a: np.ndarray, b: np.ndarray) -> int:
-    """Vote sum of one block in O(m log m): walk by a, count smaller and larger b among those before."""
+    """Vote sum of one block: pairs less twice the inversions of b in order of (a, b), ties taken off."""
     if len(a) < 2:
         return 0
-    rank = np.unique(b, return_inverse=True)[1] + 1
-    order = np.argsort(a, kind="stable")
-    tree, total, seen, k = [0] * (int(rank.max()) + 1), 0, 0, 0
-
-    def upto(i: int) -> int:
-        s = 0
-        while i:
-            s += tree[i]
-            i -= i & -i
-        return s
-
-    while k < len(order):
-        stop = k
-        while stop < len(order) and a[order[stop]] == a[order[k]]:
-            stop += 1
-        for i in order[k:stop]:
-            r = int(rank[i])
-            total += upto(r - 1) - (seen - upto(r))
-        for i in order[k:stop]:
-            j = int(rank[i])
-            while j < len(tree):
-                tree[j] += 1
-                j += j & -j
-        seen, k = seen + stop - k, stop
-    return total
+    order = np.lexsort((b, a))
+    ra, rb = np.unique(a, return_inverse=True)[1][order], np.unique(b, return_inverse=True)[1][order]
+    two = lambda *keys: sum(u * (u - 1) // 2 for u in np.unique(np.stack(keys), axis=1, return_counts=True)[1].tolist())
+    return len(a) * (len(a) - 1) // 2 - two(ra) - two(rb) + two(ra, rb) - 2 * inversions(rb)
 
 
 def kendall_s_grid(dens: DataFrame, buckets: int = 64) -> DataFrame:
@@ -140,7 +169,8 @@ def kendall_s_grid(dens: DataFrame, buckets: int = 64) -> DataFrame:
 
     Both densities are cut in buckets at value boundaries.  Pairs apart in both
     are decided by the bucket counts (at most buckets squared, which reach the
-    driver); pairs that share a bucket are summed within it by merge counting;
+    driver); pairs that share a bucket are summed within it by merge counting, unless
+    it has a single value, such as the common zero, whose pairs are ties;
     those that share both are counted twice so and taken off once."""
     d = dens.select((F.col("cnt_a") / F.col("size")).alias("a"), (F.col("cnt_b") / F.col("size")).alias("b"))
     q = [i / buckets for i in range(1, buckets)]
@@ -162,13 +192,19 @@ def kendall_s_grid(dens: DataFrame, buckets: int = 64) -> DataFrame:
     def local(pdf: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"s": [block_sum(pdf.a.values, pdf.b.values)]})
 
-    parts = d.groupBy("ka").applyInPandas(local, "s long").union(d.groupBy("kb").applyInPandas(local, "s long")).union(d.groupBy("ka", "kb").applyInPandas(local, "s long").select(-F.col("s")))
+    def mixed(*by: str) -> DataFrame:
+        """Rows of the buckets that hold more than one value of both."""
+        some = d.groupBy(*by).agg(F.min("a").alias("a0"), F.max("a").alias("a1"), F.min("b").alias("b0"), F.max("b").alias("b1")).where("a0 < a1 AND b0 < b1")
+        return d.join(some.select(*by), list(by), "left_semi")
+
+    parts = mixed("ka").groupBy("ka").applyInPandas(local, "s long").union(mixed("kb").groupBy("kb").applyInPandas(local, "s long")).union(mixed("ka", "kb").groupBy("ka", "kb").applyInPandas(local, "s long").select(-F.col("s")))
     return parts.agg((F.coalesce(F.sum("s"), F.lit(0)) + F.lit(int(apart))).alias("s"))
 
 
-def exact_test(g: EventGraph, a: str, b: str, h: int) -> DataFrame:
-    """The test over all references."""
-    return kendall_test(densities(g, reference_population(g, a, b, h), a, b, h))
+def exact_test(g: EventGraph, a: str, b: str, h: int, include_out_of_sight: bool = False) -> DataFrame:
+    """The test over all references; with nodes that see neither event it shows how these inflate z."""
+    refs = g.nodes.select(F.col("id").alias("node")) if include_out_of_sight else reference_population(g, a, b, h)
+    return kendall_test(densities(g, refs, a, b, h))
 
 
 def spearman(dens: DataFrame) -> DataFrame:

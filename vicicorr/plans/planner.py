@@ -41,10 +41,11 @@ def choose_sampler(g: EventGraph, a: str, b: str, h: int, n: int = 900) -> Sampl
     ball = n_sum / max(m, 1) * (1 + st.mean_degree)
     p = n_hat / max(n_sum, 1)
     cost = {"enumerate": n_hat * (1 + st.mean_degree), "rejection": 2 * n / max(p, 1e-9) * ball, "importance": n * ball, "whole_graph": max(0.0, n * nodes / n_hat - n) * ball}
-    best = "importance" if h == 1 else min(("enumerate", "importance", "whole_graph"), key=cost.get)
+    # one hop: importance; else the cheapest, rejection only where its draws are seldom refused
+    best = "importance" if h == 1 else min(("enumerate", "importance", "whole_graph", *(("rejection",) if p > 0.9 else ())), key=cost.get)
     return SamplerPlan(best, h, m, n_sum, n_hat, p, cost["enumerate"], cost["rejection"], cost["importance"], cost["whole_graph"])
 
 
-def plan_frame(g: EventGraph, a: str, b: str, hs=(1, 2)) -> DataFrame:
+def plan_frame(g: EventGraph, a: str, b: str, hs=(0, 1, 2, 3)) -> DataFrame:
     rows = [tuple(asdict(choose_sampler(g, a, b, h)).values()) for h in hs]
     return g.nodes.sparkSession.createDataFrame(rows, "sampler string, h int, m long, n_sum long, n_hat double, p_succ double, cost_enumerate double, cost_rejection double, cost_importance double, cost_whole_graph double")

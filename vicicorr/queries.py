@@ -12,11 +12,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracle as o
-from .functions import stats
+from .functions import stats, udfs
 from .operators import baselines, index, kendall, samplers, screen, simulate
-from .operators.balls import balls, cut, induced_edges, mask_balls, set_ball, weighted_balls
-from .plans import planner
+from .operators.balls import balls, cut, hits_within, induced_edges, mask_counts, set_ball, weighted_balls
+from .plans import costs, planner
 from .sources import graphs
+from .api import Pair
 from .sources.graphs import BUILDERS, EventGraph
 from .streaming import occurrences
 
@@ -48,13 +49,18 @@ def both(name: str, sql: str, duck: str | None = None) -> None:
 
 
 def graph(spark, d, name=COP) -> EventGraph:
-    return BUILDERS[name](spark, d)
+    """The named graph, built once an application and stored with its adjacency bucketed by node."""
+    return graphs.stored_graph(spark, d, name)
 
 
 def tidy(df: DataFrame) -> DataFrame:
     return df.select("n", "s", F.round("t", 6).alias("t"), F.round("var_s", 3).alias("var_s"), F.round("z", 6).alias("z"), F.round("p_upper", 6).alias("p_upper"), "verdict")
 
 
+_r6 = lambda *c: [F.round(x, 6).alias(x) for x in c]
+_B4 = ("Brand#4", "Brand#2")
+N = 200
+
 # graphs
 for _g in BUILDERS:
     query(f"graph_{_g}", f"WITH {o.graph(_g)} SELECT (SELECT count(*) FROM nodes) AS n_nodes, (SELECT count(*) FROM edges) AS n_edges, (SELECT max(c) FROM (SELECT count(*) AS c FROM adj GROUP BY u)) AS max_degree, (SELECT count(*) FROM occ) AS n_occ")(
@@ -67,28 +73,27 @@ query("degree_filter", f"WITH {o.graph(COP)} SELECT u AS node, count(*) AS deg F
 query("topk_degree", f"WITH {o.graph(COP)} SELECT u AS node, count(*) AS deg FROM adj GROUP BY u ORDER BY deg DESC, node LIMIT 10")(lambda s, d: graph(s, d).adj.groupBy(F.col("u").alias("node")).agg(F.count(F.lit(1)).alias("deg")).orderBy(F.desc("deg"), "node").limit(10))
 
 # vicinities
-ROOTS = "r AS (SELECT p_partkey AS node FROM part WHERE p_size = 7)"
-_roots = lambda s, d: graphs.read(s, d, "part", "p_partkey", "p_size").where("p_size = 7").select(F.col("p_partkey").alias("root"))
+ROOTS = "r AS (SELECT p_partkey AS node FROM part)"
+_roots = lambda s, d: graphs.read(s, d, "part", "p_partkey").select(F.col("p_partkey").alias("root"))
+SOME = "r AS (SELECT node FROM occ WHERE event = 'Brand#4')"
+_some = lambda g: g.occ.where("event = 'Brand#4'").select("node")
 for _h in (1, 2, 3):
     query(f"ball_h{_h}", f"WITH {o.graph(COP)}, {ROOTS}, {o.roots(_h, 'r')} SELECT root, node, min(d) AS dist FROM ({' UNION ALL '.join(f'SELECT root, node, {k} AS d FROM b{k}' for k in range(_h + 1))}) GROUP BY root, node")(lambda s, d, h=_h: balls(graph(s, d).adj, _roots(s, d), h))
-    query(f"set_ball_h{_h}", f"WITH {o.graph(COP)}, {ROOTS}, {o.seeds(_h, 'r')} SELECT node, min(d) AS dist FROM ({' UNION ALL '.join(f'SELECT node, {k} AS d FROM s{k}' for k in range(_h + 1))}) GROUP BY node")(lambda s, d, h=_h: set_ball(graph(s, d).adj, _roots(s, d).toDF("node"), h))
-query("set_ball_edges", f"WITH {o.graph(COP)}, {ROOTS}, {o.seeds(1, 'r')} SELECT src, dst FROM edges WHERE src IN (SELECT node FROM s1) AND dst IN (SELECT node FROM s1)")(lambda s, d: induced_edges((g := graph(s, d)).edges, set_ball(g.adj, _roots(s, d).toDF("node"), 1)))
-query("ball_directed", f"WITH r AS (SELECT o_orderkey * 2 AS node FROM orders WHERE o_orderkey % 50 = 0), adj AS (SELECT DISTINCT l_orderkey * 2 AS u, l_partkey * 2 + 1 AS v FROM lineitem), {o.roots(2, 'r')} SELECT root, node, CASE WHEN root = node THEN 0 ELSE 1 END AS dist FROM b2")(
-    lambda s, d: balls(graphs.read(s, d, "lineitem", "l_orderkey", "l_partkey").select((F.col("l_orderkey") * 2).alias("u"), (F.col("l_partkey") * 2 + 1).alias("v")).distinct(), graphs.read(s, d, "orders", "o_orderkey").where("o_orderkey % 50 = 0").select((F.col("o_orderkey") * 2).alias("root")), 2)
+    query(f"set_ball_h{_h}", f"WITH {o.graph(COP)}, {SOME}, {o.seeds(_h, 'r')} SELECT node, min(d) AS dist FROM ({' UNION ALL '.join(f'SELECT node, {k} AS d FROM s{k}' for k in range(_h + 1))}) GROUP BY node")(lambda s, d, h=_h: set_ball((g := graph(s, d)).adj, _some(g), h))
+query("set_ball_edges", f"WITH {o.graph(COP)}, {SOME}, {o.seeds(1, 'r')} SELECT src, dst FROM edges WHERE src IN (SELECT node FROM s1) AND dst IN (SELECT node FROM s1)")(lambda s, d: induced_edges((g := graph(s, d)).edges, set_ball(g.adj, _some(g), 1)))
+query("ball_directed", f"WITH r AS (SELECT o_orderkey * 2 AS node FROM orders), adj AS (SELECT DISTINCT l_orderkey * 2 AS u, l_partkey * 2 + 1 AS v FROM lineitem), {o.roots(2, 'r')} SELECT root, node, CASE WHEN root = node THEN 0 ELSE 1 END AS dist FROM b2")(
+    lambda s, d: balls(graphs.read(s, d, "lineitem", "l_orderkey", "l_partkey").select((F.col("l_orderkey") * 2).alias("u"), (F.col("l_partkey") * 2 + 1).alias("v")).distinct(), graphs.read(s, d, "orders", "o_orderkey").select((F.col("o_orderkey") * 2).alias("root")), 2)
 )
-query("ball_weighted", "WITH a AS (SELECT l_orderkey * 2 AS u, l_partkey * 2 + 1 AS v, min(l_quantity) AS w FROM lineitem GROUP BY 1, 2), r AS (SELECT o_orderkey * 2 AS root FROM orders WHERE o_orderkey % 50 = 0) SELECT root, root AS node, 0.0::DOUBLE AS dist FROM r UNION ALL SELECT root, v, w FROM r JOIN a ON u = root WHERE w <= 20")(
-    lambda s, d: weighted_balls(graphs.read(s, d, "lineitem", "l_orderkey", "l_partkey", "l_quantity").groupBy((F.col("l_orderkey") * 2).alias("u"), (F.col("l_partkey") * 2 + 1).alias("v")).agg(F.min("l_quantity").alias("w")), graphs.read(s, d, "orders", "o_orderkey").where("o_orderkey % 50 = 0").select((F.col("o_orderkey") * 2).alias("root")), 20.0, 2)
+query("ball_weighted", "WITH a AS (SELECT l_orderkey * 2 AS u, l_partkey * 2 + 1 AS v, min(l_quantity) AS w FROM lineitem GROUP BY 1, 2), r AS (SELECT o_orderkey * 2 AS root FROM orders) SELECT root, root AS node, 0.0::DOUBLE AS dist FROM r UNION ALL SELECT root, v, w FROM r JOIN a ON u = root WHERE w <= 20")(
+    lambda s, d: weighted_balls(graphs.read(s, d, "lineitem", "l_orderkey", "l_partkey", "l_quantity").groupBy((F.col("l_orderkey") * 2).alias("u"), (F.col("l_partkey") * 2 + 1).alias("v")).agg(F.min("l_quantity").alias("w")), graphs.read(s, d, "orders", "o_orderkey").select((F.col("o_orderkey") * 2).alias("root")), 20.0, 2)
 )
 
 
-@query("ball_mask_sizes", f"WITH {o.graph(COP)}, {ROOTS}, {o.roots(2, 'r')} SELECT root, count(*) AS size FROM b2 GROUP BY root")
+@query("ball_mask_sizes", f"WITH {o.graph(COP)}, {ROOTS}, {o.roots(2, 'r')}, {o.events(A, B)} SELECT root, count(*) AS size, count(*) FILTER (WHERE has_a) AS cnt_a, count(has_a) AS c FROM b2 LEFT JOIN ev ON ev.node = b2.node GROUP BY root")
 def _mask(s, d):
+    """Sizes and counts of all balls from masks of 62 roots."""
     g = graph(s, d)
-    from pyspark.sql import Window
-
-    r = cut(_roots(s, d).withColumn("number", (F.row_number().over(Window.orderBy("root")) - 1).cast("long")))
-    m = mask_balls(g.adj, r, 2).withColumn("bit", F.explode(F.expr("filter(sequence(0, 61), i -> (shiftright(mask, i) & 1) = 1)")))
-    return m.groupBy((F.col("block") * 62 + F.col("bit")).alias("number")).agg(F.count(F.lit(1)).alias("size")).join(r, "number").select("root", "size")
+    return mask_counts(g.adj, _roots(s, d), g.event_nodes(A, B).toDF("node", "cnt_a", "cnt_b"), 2).select("root", "size", "cnt_a", "c")
 
 
 query("ref_population", f"WITH {o.graph(COP)}, {o.events(A, B)}, {o.seeds(1)} SELECT node FROM s1")(lambda s, d: kendall.reference_population(graph(s, d), A, B, 1).select("node"))
@@ -100,42 +105,97 @@ _dens = lambda s, d, h, name=COP, a=A, b=B: kendall.densities(g := graph(s, d, n
 for _h in (0, 1, 2):
     query(f"density_h{_h}", f"{o.dens(COP, A, B, _h)} SELECT * FROM dens")(lambda s, d, h=_h: _dens(s, d, h))
 query("in_sight_filter", f"{o.dens(COP, A, B, 1)} SELECT node FROM dens WHERE cnt_a + cnt_b > 1")(lambda s, d: _dens(s, d, 1).where("cnt_a + cnt_b > 1").select("node"))
-query("density_intensity", f"WITH {o.graph(COP)}, iv AS (SELECT l_partkey AS node, sum(l_quantity) AS q FROM lineitem GROUP BY 1) SELECT n.id AS node, round((coalesce(i.q, 0) + coalesce((SELECT sum(q) FROM adj JOIN iv ON iv.node = adj.v WHERE adj.u = n.id), 0)) / (1 + (SELECT count(*) FROM adj WHERE u = n.id)), 6) AS density FROM nodes n LEFT JOIN iv i ON i.node = n.id")(
-    lambda s, d: (lambda g, q: g.adj.union(g.nodes.select("id", "id")).join(q, F.col("v") == F.col("node"), "left").groupBy(F.col("u").alias("root")).agg(F.round(F.coalesce(F.sum("q"), F.lit(0.0)) / F.count(F.lit(1)), 6).alias("density")).withColumnRenamed("root", "node"))(graph(s, d), graphs.read(s, d, "lineitem", "l_partkey", "l_quantity").groupBy(F.col("l_partkey").alias("node")).agg(F.sum("l_quantity").alias("q")))
+_iv = "iv AS (SELECT l_partkey AS node, sum(l_quantity) AS q FROM lineitem GROUP BY 1)"
+_wd = "wd AS (SELECT root AS node, count(*) AS size, sum(coalesce(has_a * {q} * power({decay}, dist), 0)) / count(*) AS da, sum(coalesce(has_b * {q} * power({decay}, dist), 0)) / count(*) AS db FROM dd LEFT JOIN (SELECT ev.node, has_a::INT AS has_a, has_b::INT AS has_b FROM ev) e USING (node) {join} GROUP BY root)"
+
+
+def _dist_sql(h: int) -> str:
+    return "dd AS (SELECT root, node, min(d) AS dist FROM (" + " UNION ALL ".join(f"SELECT root, node, {k} AS d FROM b{k}" for k in range(h + 1)) + ") GROUP BY root, node)"
+
+
+def _quantities(s, d, g: EventGraph) -> DataFrame:
+    q = graphs.read(s, d, "lineitem", "l_partkey", "l_quantity").groupBy(F.col("l_partkey").alias("node")).agg(F.sum("l_quantity").alias("q"))
+    return g.occ.join(q, "node")
+
+
+def _rounded(df: DataFrame) -> DataFrame:
+    return df.select("node", "size", F.round("da", 6).alias("da"), F.round("db", 6).alias("db"))
+
+
+query("density_intensity", f"WITH {o.graph(COP)}, {o.events(A, B)}, nn AS (SELECT id AS node FROM nodes), {o.roots(1, 'nn')}, {_dist_sql(1)}, {_iv}, {_wd.format(q='coalesce(q, 0)', decay='1.0', join='LEFT JOIN iv USING (node)')} SELECT node, size, round(da, 6) AS da, round(db, 6) AS db FROM wd")(
+    lambda s, d: (lambda g: _rounded(kendall.weighted_densities(g, g.nodes.select(F.col("id").alias("node")), A, B, 1, _quantities(s, d, g))))(graph(s, d))
 )
-query("density_decay", f"WITH {o.graph(COP)}, {o.events(A, B)}, {ROOTS}, {o.roots(2, 'r')}, dd AS (SELECT root, node, min(d) AS dist FROM (SELECT root, node, 0 AS d FROM b0 UNION ALL SELECT root, node, 1 FROM b1 UNION ALL SELECT root, node, 2 FROM b2) GROUP BY root, node) SELECT root, round(sum(CASE WHEN has_a THEN power(0.5, dist) ELSE 0 END), 6) AS da FROM dd LEFT JOIN ev ON ev.node = dd.node GROUP BY root")(
-    lambda s, d: (lambda g: balls(g.adj, _roots(s, d), 2).join(g.event_nodes(A, B), "node", "left").groupBy("root").agg(F.round(F.sum(F.when(F.col("has_a"), F.pow(F.lit(0.5), F.col("dist"))).otherwise(0.0)), 6).alias("da")))(graph(s, d))
+query("density_decay", f"WITH {o.graph(COP)}, {o.events(A, B)}, {ROOTS}, {o.roots(2, 'r')}, {_dist_sql(2)}, {_wd.format(q='1', decay='0.5', join='')} SELECT node, size, round(da, 6) AS da, round(db, 6) AS db FROM wd")(
+    lambda s, d: _rounded(kendall.weighted_densities(graph(s, d), _roots(s, d).toDF("node"), A, B, 2, decay=0.5))
 )
+query("z_intensity")(lambda s, d: (lambda g: tidy(kendall.value_test(kendall.weighted_densities(g, kendall.reference_population(g, A, B, 1), A, B, 1, _quantities(s, d, g)))))(graph(s, d)))
+query("z_decay")(lambda s, d: (lambda g: tidy(kendall.value_test(kendall.weighted_densities(g, kendall.reference_population(g, A, B, 2), A, B, 2, decay=0.5))))(graph(s, d)))
 query("concordance_pairs", f"{o.dens(COP, 'Brand#4', 'Brand#2', 0)} SELECT x.node AS i, y.node AS j, (sign(x.cnt_a * y.size - y.cnt_a * x.size) * sign(x.cnt_b * y.size - y.cnt_b * x.size))::INTEGER AS vote FROM dens x JOIN dens y ON x.node < y.node")(
     lambda s, d: (lambda p, q: p.join(q, F.col("i") < F.col("j")).select("i", "j", kendall.vote(F.col("a1"), F.col("s1"), F.col("b1"), F.col("a2"), F.col("s2"), F.col("b2")).alias("vote")))(*(cut(_dens(s, d, 0, COP, "Brand#4", "Brand#2")).select(F.col("node").alias(k), F.col("cnt_a").alias(f"a{n}"), F.col("cnt_b").alias(f"b{n}"), F.col("size").alias(f"s{n}")) for k, n in (("i", 1), ("j", 2))))
 )
 query("pair_counts", f"{o.dens(COP, A, B, 1)}, {o.PAIRS} SELECT (SELECT count(*) FROM dens) AS n, * FROM pc")(lambda s, d: kendall.pair_counts(_dens(s, d, 1)))
-TESTS = [("tau_exact", COP, A, B, 1), ("z_copurchase_h2", COP, A, B, 2), ("z_copurchase_economy_promo_h1", COP, "ECONOMY", "PROMO", 1), ("z_copurchase_brands_h1", COP, "Brand#4", "Brand#2", 1), ("z_copurchase_brands_h3", COP, "Brand#4", "Brand#2", 3), ("z_cobuyer_h1", "cobuyer_customer", "BUILDING", "MACHINERY", 1), ("z_embed_h1", "embed_knn", "0", "1", 1), ("z_pages_h1", "page_path", "en", "fr", 1), ("z_pages_h3", "page_path", "en", "fr", 3), ("z_docs_h1", "doc_shingle", "en", "fr", 1), ("z_docs_quality_toxic_h1", "doc_shingle", "q1", "t1", 1), ("z_docs_low_quality_toxic_h1", "doc_shingle", "q0", "t1", 1), ("z_handoff_h1", "user_handoff", "error", "purchase", 1), ("z_tree_h2", "star_tree", "BUILDING", "MACHINERY", 2)]
+TESTS = [("tau_exact", COP, A, B, 1), ("z_copurchase_h2", COP, A, B, 2), ("z_copurchase_economy_promo_h1", COP, "ECONOMY", "PROMO", 1), ("z_copurchase_brands_h1", COP, "Brand#4", "Brand#2", 1), ("z_copurchase_brands_h3", COP, "Brand#4", "Brand#2", 3), ("z_cobuyer_h1", "cobuyer_customer", "BUILDING", "MACHINERY", 1), ("z_embed_h1", "embed_knn", "0", "1", 1), ("z_pages_h1", "page_path", "en", "fr", 1), ("z_pages_h3", "page_path", "en", "fr", 3), ("z_docs_h1", "doc_shingle", "en", "fr", 1), ("z_docs_quality_toxic_h1", "doc_shingle", "q1", "t1", 1), ("z_docs_low_quality_toxic_h1", "doc_shingle", "q0", "t1", 1), ("z_handoff_h1", "user_handoff", "error", "purchase", 1), ("z_tree_h1", "star_tree", "BUILDING", "MACHINERY", 1), ("z_tree_h2", "star_tree", "BUILDING", "MACHINERY", 2)]
 for _n, _g, _a, _b, _h in TESTS:
-    query(_n, None if _g == "star_tree" else o.exact(_g, _a, _b, _h))(lambda s, d, g=_g, a=_a, b=_b, h=_h: tidy(kendall.exact_test(graph(s, d, g), a, b, h)))
+    query(_n, None if _n == "z_tree_h2" else o.exact(_g, _a, _b, _h))(lambda s, d, g=_g, a=_a, b=_b, h=_h: tidy(kendall.exact_test(graph(s, d, g), a, b, h)))
 query("z_score", f"{o.dens(COP, A, B, 1)}, {o.TEST} SELECT n, z FROM res")(lambda s, d: tidy(kendall.kendall_test(_dens(s, d, 1))).select("n", "z"))
 query("tau_exact_grid", f"{o.dens(COP, A, B, 1)}, {o.PAIRS} SELECT (concordant - discordant)::BIGINT AS s FROM pc")(lambda s, d: kendall.kendall_s_grid(cut(_dens(s, d, 1)), 16))
 query("variance_ties", f"{o.dens(COP, A, B, 1)}, {o.TEST} SELECT n, var_s FROM res")(lambda s, d: tidy(kendall.kendall_test(_dens(s, d, 1))).select("n", "var_s"))
 query("tie_groups", f"{o.dens(COP, A, B, 1)} SELECT side, u, count(*) AS n FROM (SELECT 'a' AS side, count(*) AS u FROM dens GROUP BY cnt_a / size UNION ALL SELECT 'b', count(*) FROM dens GROUP BY cnt_b / size) GROUP BY 1, 2")(
     lambda s, d: (lambda x: x[0].union(x[1]).groupBy("side", "u").agg(F.count(F.lit(1)).alias("n")))([cut(_dens(s, d, 1)).groupBy((F.col(f"cnt_{k}") / F.col("size")).alias("d")).agg(F.count(F.lit(1)).alias("u")).select(F.lit(k).alias("side"), "u") for k in "ab"])
 )
-both("variance_no_ties", "SELECT n, round(2 * (2 * n + 5) / (9.0E0 * n * (n - 1)), 9) AS v FROM (VALUES (30), (100), (300), (900)) AS t(n)")
-both("variance_bound", "SELECT n, tau, round(2 * (1 - tau * tau) / n, 9) AS bound FROM (VALUES (100, 0.0E0), (900, 0.3E0), (900, -0.5E0)) AS t(n, tau)")
+query("variance_no_ties", "SELECT n::BIGINT AS n, round(2 * (2 * n + 5) / (9.0::DOUBLE * n * (n - 1)), 9) AS v FROM (VALUES (30), (100), (300), (900)) AS t(n)")(lambda s, d: s.createDataFrame([(n,) for n in (30, 100, 300, 900)], "n long").select("n", F.round(stats.var_no_ties(F.col("n").cast("double")), 9).alias("v")))
+_BOUNDS = [(100, 0.0), (900, 0.3), (900, -0.5)]
+query("variance_bound", "SELECT n::BIGINT AS n, tau::DOUBLE AS tau, round(2 * (1 - tau * tau) / n::DOUBLE, 9) AS bound FROM (VALUES (100, 0.0::DOUBLE), (900, 0.3::DOUBLE), (900, -0.5::DOUBLE)) AS t(n, tau)")(lambda s, d: s.createDataFrame(_BOUNDS, "n long, tau double").select("n", "tau", F.round(stats.var_bound(F.col("n"), F.col("tau")), 9).alias("bound")))
+query("required_n", "SELECT tau::DOUBLE AS tau, se::DOUBLE AS se, ceil(2 * (1 - tau * tau) / (se * se))::BIGINT AS n FROM (VALUES (0.0::DOUBLE, 0.05::DOUBLE), (0.5::DOUBLE, 0.02::DOUBLE)) t(tau, se)")(lambda s, d: s.createDataFrame([(t, e, stats.required_n(t, e)) for t, e in ((0.0, 0.05), (0.5, 0.02))], "tau double, se double, n long"))
+query("p_two_sided", f"SELECT z::DOUBLE AS z, round(2 * {o.ERFC}, 6) AS p FROM (SELECT z, 1 / (1 + 0.3275911 * abs(z) / sqrt(2)) AS t FROM (VALUES (-2.33), (-1.0), (0.0), (1.96)) v(z))")(lambda s, d: s.createDataFrame([(-2.33,), (-1.0,), (0.0,), (1.96,)], "z double").select("z", F.round(stats.two_sided(F.col("z")), 6).alias("p")))
+query("udf_normal_sf", f"SELECT z::DOUBLE AS z, round(CASE WHEN z >= 0 THEN {o.ERFC} ELSE 1 - {o.ERFC} END, 5) AS p FROM (SELECT z, 1 / (1 + 0.3275911 * abs(z) / sqrt(2)) AS t FROM (VALUES (-2.33), (0.5), (2.33)) v(z))")(lambda s, d: s.createDataFrame([(-2.33,), (0.5,), (2.33,)], "z double").select("z", F.round(udfs.normal_sf("z"), 5).alias("p")))
+query("udaf_kendall_s", f"{o.dens(COP, A, B, 1)}, {o.PAIRS} SELECT (concordant - discordant)::BIGINT AS s FROM pc")(lambda s, d: _dens(s, d, 1).select((F.col("cnt_a") / F.col("size")).alias("a"), (F.col("cnt_b") / F.col("size")).alias("b")).agg(udfs.kendall_s("a", "b").alias("s")))
+query("sql_z", f"{o.dens(COP, A, B, 1)}, {o.TEST} SELECT n, s, z FROM res")(lambda s, d: udfs.sql_test(s, cut(_dens(s, d, 1))).select("n", "s", F.round("z", 6).alias("z")))
+_ARCS = [(1, 2), (2, 1), (2, 3), (3, 2), (3, 4), (4, 3), (4, 5), (5, 4)]
+
+
+@query("udtf_ball", "SELECT * FROM (VALUES (1::BIGINT, 0), (2, 1), (3, 2)) t(node, dist)")
+def _udtf(s, d):
+    udfs.register(s)
+    return s.sql("SELECT b.node, b.dist FROM {g} AS g, LATERAL ball_of(1L, 2, g.arcs) AS b", g=s.createDataFrame([(_ARCS,)], "arcs array<struct<u:long,v:long>>"))
+
+
+query("weighted_test", f"WITH {o.graph(COP)}, {o.events('Brand#4', 'Brand#2')}, {o.draws(2, 600)}, {o.first_distinct(200)}, {o.roots(2, 'smp')}, {o.DENS.format(b='b2')}, {o.TEST}, ww AS (SELECT cnt_a / size AS da, cnt_b / size AS db, w / c AS o, node FROM dens JOIN smp USING (node)), wt AS (SELECT sum(sign((x.da - y.da) * (x.db - y.db)) * x.o * y.o) / sum(x.o * y.o) AS t FROM ww x JOIN ww y ON x.node < y.node) SELECT n, round(wt.t, 6) AS t, round(wt.t * (n * (n - 1) / 2) / sqrt(vs.var_s), 6) AS z FROM wt, vs")(
+    lambda s, d: (lambda g, r: kendall.weighted_test(kendall.densities(g, r, *_B4, 2).join(r, "node")).select("n", *_r6("t", "z")))(g := graph(s, d), cut(samplers.importance_sample(g, *_B4, 2, N)))
+)
 query("p_value", f"SELECT z::DOUBLE AS z, round(CASE WHEN z >= 0 THEN {o.ERFC} ELSE 1 - {o.ERFC} END, 6) AS p FROM (SELECT z, 1 / (1 + 0.3275911 * abs(z) / sqrt(2)) AS t FROM (VALUES (-2.33), (0.0), (1.645), (2.33), (6.22)) v(z))")(lambda s, d: s.createDataFrame([(-2.33,), (0.0,), (1.645,), (2.33,), (6.22,)], "z double").select("z", F.round(stats.upper_p(F.col("z")), 6).alias("p")))
-query("profile_h123", " UNION ALL ".join(f"SELECT {h} AS h, * FROM ({o.dens(COP, 'Brand#4', 'Brand#2', h)} SELECT * FROM dens)" for h in (1, 2)))(lambda s, d: (lambda g: kendall.profile(g, kendall.reference_population(g, "Brand#4", "Brand#2", 2), "Brand#4", "Brand#2", (1, 2)).where("c > 0"))(graph(s, d)))
-query("pivot_profile")(lambda s, d: Q["profile_h123"](s, d).groupBy("node").pivot("h", [1, 2]).agg(F.first("size")))
+query("profile_h123", " UNION ALL ".join(f"SELECT {h} AS h, * FROM ({o.dens(COP, 'Brand#4', 'Brand#2', h)} SELECT * FROM dens)" for h in (1, 2, 3)))(lambda s, d: (lambda g: kendall.profile(g, kendall.reference_population(g, "Brand#4", "Brand#2", 3), "Brand#4", "Brand#2", (1, 2, 3)).where("c > 0"))(graph(s, d)))
+query("pivot_profile", "SELECT node, max(size) FILTER (WHERE h = 1) AS size_1, max(size) FILTER (WHERE h = 2) AS size_2, max(size) FILTER (WHERE h = 3) AS size_3 FROM (" + SQL["profile_h123"] + ") GROUP BY node")(lambda s, d: Q["profile_h123"](s, d).groupBy("node").pivot("h", [1, 2, 3]).agg(F.first("size")).toDF("node", "size_1", "size_2", "size_3"))
+_EACH_H = " UNION ALL ".join(f"SELECT {h} AS h, n, s, z FROM ({o.exact(COP, 'Brand#4', 'Brand#2', h)})" for h in (1, 2, 3))
+query("fluent_profile", _EACH_H)(lambda s, d: Pair(graph(s, d), "Brand#4", "Brand#2").profile().select("h", "n", "s", *_r6("z")))
 query("spearman", f"{o.dens(COP, A, B, 1)}, r AS (SELECT rank() OVER (ORDER BY cnt_a / size) + (count(*) OVER (PARTITION BY cnt_a / size) - 1) / 2.0 AS ra, rank() OVER (ORDER BY cnt_b / size) + (count(*) OVER (PARTITION BY cnt_b / size) - 1) / 2.0 AS rb FROM dens) SELECT count(*) AS n, round(corr(ra, rb), 6) AS rho FROM r")(lambda s, d: kendall.spearman(cut(_dens(s, d, 1))).select("n", F.round("rho", 6).alias("rho")))
 query("tau_b_refs", f"{o.dens(COP, A, B, 1)}, {o.PAIRS} SELECT round((concordant - discordant) / sqrt((concordant + discordant + tied_b)::DOUBLE * (concordant + discordant + tied_a)), 6) AS tau_b FROM pc")(lambda s, d: kendall.pair_counts(_dens(s, d, 1)).select(F.round((F.col("concordant") - F.col("discordant")) / F.sqrt((F.col("concordant") + F.col("discordant") + F.col("tied_b")).cast("double") * (F.col("concordant") + F.col("discordant") + F.col("tied_a"))), 6).alias("tau_b")))
 FIG = "(VALUES (1, 2, 1), (2, 2, 3), (3, 1, 1), (4, 1, 2), (5, 3, 2), (6, 0, 0), (7, 0, 0), (8, 0, 0), (9, 0, 0))"
-query("fig3_inflation", f"WITH dens AS (SELECT c0 AS node, 10 AS size, c1 AS cnt_a, c2 AS cnt_b, 0 AS c FROM (SELECT * FROM {FIG} v(c0, c1, c2))), {o.TEST} SELECT * FROM res")(lambda s, d: tidy(kendall.kendall_test(s.sql(f"SELECT c0 AS node, 10 AS size, c1 AS cnt_a, c2 AS cnt_b, 0 AS c FROM {FIG} AS v(c0, c1, c2)"))))
+_PATH = "WITH pairs AS (SELECT i::BIGINT AS x, (i + 1)::BIGINT AS y FROM range(0, 11) t(i)), occ AS (SELECT node::BIGINT AS node, event FROM (VALUES (1, 'a'), (2, 'b'), (3, 'a'), (4, 'b')) t(node, event)), more AS (SELECT node AS id FROM occ), edges AS MATERIALIZED (SELECT x AS src, y AS dst FROM pairs), adj AS (SELECT src AS u, dst AS v FROM edges UNION ALL SELECT dst, src FROM edges), nodes AS (SELECT src AS id FROM edges UNION SELECT dst FROM edges)"
+_SIDES = f"SELECT 'in sight' AS refs, n, s, z FROM ({_PATH}, {o.events('a', 'b')}, {o.seeds(1)}, {o.roots(1, 's1')}, {o.DENS.format(b='b1')}, {o.TEST} SELECT * FROM res) UNION ALL SELECT 'all', n, s, z FROM ({_PATH}, {o.events('a', 'b')}, nn AS (SELECT id AS node FROM nodes), {o.roots(1, 'nn')}, {o.DENS.format(b='b1')}, {o.TEST} SELECT * FROM res)"
+
+
+@query("out_of_sight_inflation", _SIDES)
+def _inflation(s, d):
+    """A path whose far end sees neither event: with the nodes out of sight z grows, without any new evidence."""
+    pairs = s.createDataFrame([(i, i + 1) for i in range(11)], "x long, y long")
+    g = graphs.from_edges(pairs, s.createDataFrame([(1, "a"), (2, "b"), (3, "a"), (4, "b")], "node long, event string"))
+    each = lambda name, keep: kendall.exact_test(g, "a", "b", 1, include_out_of_sight=keep).select(F.lit(name).alias("refs"), "n", "s", *_r6("z"))
+    return each("in sight", False).union(each("all", True))
+
+
+_both_sides = "SELECT '{0}' AS refs, * FROM (WITH dens AS (SELECT c0 AS node, 10 AS size, c1 AS cnt_a, c2 AS cnt_b, 0 AS c FROM (SELECT * FROM {1} v(c0, c1, c2)) WHERE {2}), {3} SELECT * FROM res)"
+query("fig3_inflation", " UNION ALL ".join(_both_sides.format(name, FIG, cond, o.TEST) for name, cond in (("in sight", "c1 + c2 > 0"), ("all", "true"))))(
+    lambda s, d: (lambda t: tidy(kendall.kendall_test(t.where("cnt_a + cnt_b > 0"))).select(F.lit("in sight").alias("refs"), "*").union(tidy(kendall.kendall_test(t)).select(F.lit("all").alias("refs"), "*")))(s.sql(f"SELECT c0 AS node, 10 AS size, c1 AS cnt_a, c2 AS cnt_b, 0 AS c FROM {FIG} AS v(c0, c1, c2)"))
+)
 
 # samplers
-N = 200
-_B4 = ("Brand#4", "Brand#2")
 _ev = f"WITH {o.graph(COP)}, {o.events(*_B4)}"
 query("sample_naive_union", f"{_ev}, {o.roots(2, 'ev')} SELECT DISTINCT node FROM b2")(lambda s, d: samplers.naive_union(graph(s, d), *_B4, 2))
 query("sample_enumerate", f"{_ev}, {o.seeds(2)} SELECT node, 1::BIGINT AS w FROM s2 ORDER BY md5(node || ':42'), node LIMIT {N}")(lambda s, d: samplers.enumerate_sample(graph(s, d), *_B4, 2, N))
 query("sample_whole_graph", f"{_ev}, {o.seeds(2)}, p AS (SELECT id AS node, row_number() OVER (ORDER BY md5(id || ':42')) AS r FROM nodes), t AS (SELECT p.* FROM p JOIN s2 USING (node) ORDER BY r LIMIT {N}) SELECT node, 1::BIGINT AS w, (SELECT max(r) FROM t) AS tried FROM t")(lambda s, d: samplers.whole_graph_sample(graph(s, d), *_B4, 2, N))
+query("sample_stratified", f"{_ev}, {o.seeds(2)}, p AS (SELECT node, min(d) AS dist FROM (SELECT node, 0 AS d FROM s0 UNION ALL SELECT node, 1 FROM s1 UNION ALL SELECT node, 2 FROM s2) GROUP BY node), r AS (SELECT node, dist, row_number() OVER (PARTITION BY dist ORDER BY md5(node || ':42'), node) AS r, count(*) OVER (PARTITION BY dist) AS u, count(*) OVER () AS al FROM p) SELECT node, 1::BIGINT AS w, dist FROM r WHERE r <= ceil(u * {N} / al)")(lambda s, d: samplers.stratified_sample(graph(s, d), *_B4, 2, N))
+query("sees_event", f"{_ev}, {o.seeds(2)} SELECT id AS node FROM nodes WHERE id IN (SELECT node FROM s2)")(lambda s, d: hits_within((g := graph(s, d)).adj, g.nodes.select(F.col("id").alias("node")), g.event_nodes(*_B4), 2))
 query("weighted_draw", f"{_ev}, {o.draws(2, 600)} SELECT j, root, size, at_ AS \"at\" FROM picks")(lambda s, d: samplers.weighted_draw(graph(s, d), *_B4, 2, 600))
 query("prefix_sum", f"{_ev}, {o.draws(2, 1)} SELECT node, size, lo FROM iv")(lambda s, d: samplers.intervals(graph(s, d), *_B4, 2))
 query("sample_importance", f"{_ev}, {o.draws(2, 3 * N)}, {o.first_distinct(N)} SELECT node, w FROM smp")(lambda s, d: samplers.importance_sample(graph(s, d), *_B4, 2, N))
@@ -155,32 +215,79 @@ query("n_f", f"{_ev}, {o.seeds(2)} SELECT {N} AS n, (SELECT count(*) FROM nodes)
 )
 
 
+@query("sampler_report")
+def _sampler_report(s, d):
+    """What the draws gave: nodes asked for and got, whether the population ran out, draws made; the last asks for more than there is."""
+    g, rows = graph(s, d), []
+    for name, h, n, kw in (("importance", 2, N, {}), ("importance, 3 a ball", 2, N, {"k": 3}), ("importance, 3 distinct a ball", 2, N, {"k": 3, "distinct_within": True}), ("rejection", 2, N, {"accept": True}), ("importance", 0, 10**6, {})):
+        r = samplers.draw_rounds(g, *_B4, h, n, **kw)
+        rows.append((name, h, n, r.n_got, r.exhausted, r.draws))
+    return s.createDataFrame(rows, "sampler string, h int, n long, n_got long, exhausted boolean, draws long")
+
+
 @query("sampler_cost")
 def _sampler_cost(s, d):
-    """Rows of balls that each sampler touches."""
+    """Nodes that each sampler's searches meet while it finds its references: (sampler, n, searches, nodes_met)."""
     g = graph(s, d)
-    g = EventGraph(cut(g.nodes), cut(g.edges), cut(g.occ))
-    rows = []
-    for name, f in samplers.SAMPLERS.items():
-        refs = cut(f(g, *_B4, 2, N))
-        touched = balls(g.adj, refs.select(F.col("node").alias("root")), 2).count()
-        rows.append((name, refs.count(), touched))
-    return s.createDataFrame(rows, "sampler string, n long, ball_rows long")
+    sizes = cut(index.vicinity_sizes(g, 2).select("node", "size"))
+    met = lambda roots: sizes.join(roots.select("node").distinct(), "node").agg(F.count(F.lit(1)), F.coalesce(F.sum("size"), F.lit(0))).first()
+    own = g.event_nodes(*_B4).select("node")
+    pop = cut(kendall.reference_population(g, *_B4, 2).select("node"))
+    rows = [("naive_union", pop.count(), *met(own)), ("enumerate", N, 1, pop.count())]
+    for name, accept in (("importance", False), ("rejection", True)):
+        r = samplers.draw_rounds(g, *_B4, 2, N, accept=accept)
+        drawn = cut(samplers.weighted_draw(g, *_B4, 2, r.draws))
+        one = met(drawn.select(F.col("root").alias("node")))
+        two = met(samplers.members(g, drawn, 2)) if accept else (0, 0)  # a refused draw has cost its member's search
+        rows.append((name, r.n_got, one[0] + two[0], one[1] + two[1]))
+    tried = cut(samplers.whole_graph_sample(g, *_B4, 2, N)).select("tried").first()[0]
+    first = g.nodes.select(F.col("id").alias("node")).orderBy(samplers.key(F.col("id"))).limit(tried)
+    rows.append(("whole_graph", N, *met(first)))
+    return s.createDataFrame(rows, "sampler string, n long, searches long, nodes_met long")
 
 
 @query("estimator_error")
-def _estimator_error(s, d):
-    """Gap of sampled t to the exact one, for a few seeds."""
+def _estimator_error(s, d, seeds=range(42, 54), n=300):
+    """Sampled t against the exact one over seeds: (sampler, seeds, bias, sd, bound), bound the root of 2 (1 - tau^2) / n."""
+    g = graph(s, d)
+    all_ = cut(kendall.densities(g, kendall.reference_population(g, *_B4, 2), *_B4, 2))
+    exact = kendall.kendall_test(all_).first().t
+    refs = []
+    for seed in seeds:
+        e, i = samplers.enumerate_sample(g, *_B4, 2, n, seed=seed), samplers.importance_sample(g, *_B4, 2, n, seed=seed)
+        refs += [x.select(F.lit(seed).alias("seed"), F.lit(name).alias("sampler"), "node", "w") for name, x in (("enumerate", e), ("importance", i))]
+    rows = refs[0]
+    for r in refs[1:]:
+        rows = rows.union(r)
+    dens = cut(rows).join(all_, "node")
+    t = kendall.kendall_test(dens.where("sampler = 'enumerate'"), "sampler", "seed").select("sampler", "t").union(kendall.weighted_tau(dens.where("sampler = 'importance'"), "sampler", "seed").select("sampler", "t"))
+    return t.groupBy("sampler").agg(F.count(F.lit(1)).alias("seeds"), (F.avg("t") - exact).alias("bias"), F.stddev("t").alias("sd"), F.lit((2 * (1 - exact**2) / n) ** 0.5).alias("bound"))
+
+
+@query("sampler_uniformity")
+def _uniformity(s, d, seeds=40, n=100):
+    """Chi-square of how often each node of the population is drawn over seeds, by degree of freedom: near 1 where the draw is uniform."""
     g = graph(s, d)
-    g = EventGraph(cut(g.nodes), cut(g.edges), cut(g.occ))
-    exact = kendall.exact_test(g, *_B4, 2).first().t
-    rows = []
-    for seed in (42, 43, 44):
-        r = cut(samplers.enumerate_sample(g, *_B4, 2, 300, seed=seed))
-        rows.append(("enumerate", seed, kendall.kendall_test(kendall.densities(g, r, *_B4, 2)).first().t - exact))
-        r = cut(samplers.importance_sample(g, *_B4, 2, 300, seed=seed))
-        rows.append(("importance", seed, kendall.weighted_tau(kendall.densities(g, r, *_B4, 2).join(r, "node")).first().t - exact))
-    return s.createDataFrame(rows, "sampler string, seed int, error double")
+    pop = cut(kendall.reference_population(g, *_B4, 1).select("node"))
+    seed = s.range(seeds).withColumnRenamed("id", "seed")
+    k = F.md5(F.concat_ws(":", F.col("node").cast("string"), F.col("seed").cast("string")))
+    from pyspark.sql import Window
+
+    drawn = pop.crossJoin(F.broadcast(seed)).withColumn("r", F.row_number().over(Window.partitionBy("seed").orderBy(k, "node"))).where(F.col("r") <= n)
+    count = pop.join(drawn.groupBy("node").agg(F.count(F.lit(1)).alias("c")), "node", "left").na.fill(0)
+    mean = count.agg(F.avg("c").alias("m"), F.count(F.lit(1)).alias("u"))
+    spread = count.crossJoin(mean).agg((F.sum((F.col("c") - F.col("m")) ** 2 / F.col("m")) / (F.max("u") - 1)).alias("ratio"), F.max("u").alias("n"))
+    return spread.select("n", F.lit(seeds).alias("seeds"), (F.col("ratio") / (1 - F.lit(float(n)) / F.col("n"))).alias("chi2_by_df"))
+
+
+@query("run_costs")
+def _run_costs(s, d):
+    """What two ways to the same population cost Spark: one search for all event nodes, and one for each."""
+    g, rows = graph(s, d), []
+    for name, f in (("one search", lambda: kendall.reference_population(g, *_B4, 2).select("node").count()), ("a search each", lambda: samplers.naive_union(g, *_B4, 2).count())):
+        c = costs.run_cost(s, f)
+        rows.append((name, c.stages, c.tasks, c.shuffle_bytes, c.spilled_bytes, c.rows_read, c.peak_memory))
+    return s.createDataFrame(rows, "way string, stages long, tasks long, shuffle_bytes long, spilled_bytes long, rows_read long, peak_memory long")
 
 
 # index
@@ -211,25 +318,44 @@ _tie = lambda f: {x: f"({f.replace('u', x)} + {f.replace('u', f'(n - {x})')})" f
 _t2, _t3, _t5 = _tie("u * (u - 1)"), _tie("u * (u - 1) * (u - 2)"), _tie("u * (u - 1) * (2 * u + 5)")
 _var = f"((n * (n - 1) * (2 * n + 5) - {_t5['na']} - {_t5['nb']}) / 18 + {_t3['na']} * {_t3['nb']} / (9 * n * (n - 1) * (n - 2)) + {_t2['na']} * {_t2['nb']} / (2 * n * (n - 1)))"
 _tm = lambda s, d: baselines.transaction_measures(graph(s, d, "doc_shingle"), "q0", "t1")
-_r6 = lambda *c: [F.round(x, 6).alias(x) for x in c]
 query("tc_tau_b", f"{TC} SELECT s::BIGINT AS s, round(s / sqrt(na * (n - na) * nb * (n - nb)), 6) AS tau_b FROM q")(lambda s, d: _tm(s, d).select("s", *_r6("tau_b")))
 query("tc_z", f"{TC} SELECT s::BIGINT AS s, round(s / sqrt({_var}), 6) AS z FROM q")(lambda s, d: _tm(s, d).select("s", *_r6("z")))
 query("tc_lift", f"{TC} SELECT na, nb, n11, round(n11 * n / (na * nb), 6) AS lift FROM q")(lambda s, d: _tm(s, d).select("na", "nb", "n11", *_r6("lift")))
 query("tc_measures", f"{TC} SELECT round(n11 / n, 6) AS support, round(n11 / na, 6) AS confidence, round(n11 / (na + nb - n11), 6) AS jaccard, round(n11 / sqrt(na * nb), 6) AS cosine, round(n * s * s / (na * (n - na) * nb * (n - nb)), 6) AS chi2 FROM q")(lambda s, d: _tm(s, d).select(*_r6("support", "confidence", "jaccard", "cosine", "chi2")))
 REACH = f"WITH {o.graph(COP)}, r0 AS (SELECT event, node FROM occ), r1 AS MATERIALIZED (SELECT * FROM r0 UNION SELECT event, v FROM r0 JOIN adj ON u = node), r2 AS MATERIALIZED (SELECT * FROM r1 UNION SELECT event, v FROM r1 JOIN adj ON u = node), rr AS MATERIALIZED (SELECT event, node, exp(-min(d)) AS r FROM (SELECT *, 0 AS d FROM r0 UNION ALL SELECT *, 1 FROM r1 UNION ALL SELECT *, 2 FROM r2) GROUP BY event, node), pp AS MATERIALIZED (SELECT x.event AS a, y.event AS b, sum(x.r * y.r) AS total FROM rr x JOIN rr y ON x.node = y.node AND x.event < y.event GROUP BY 1, 2)"
 query("proximity_pairs", f"{REACH} SELECT a, b, round(total / (SELECT count(*) FROM nodes), 6) AS support FROM pp WHERE total >= 10")(lambda s, d: baselines.proximity_pairs(graph(s, d)).select("a", "b", *_r6("support")))
-query("proximity_sets")(lambda s, d: baselines.proximity_triples(graph(s, d), least=20.0).select("a", "b", "c", *_r6("support")))
-query("rare_pairs_missed")(lambda s, d: screen.screen(g := graph(s, d), 400, 1, least=30).where("verdict = 'attraction'").join(baselines.proximity_pairs(g), ["a", "b"], "left_anti").select("a", "b", "n", "z"))
+_TRIPLE = "t3 AS (SELECT x.event AS a, y.event AS b, z.event AS c, sum(x.r * y.r * z.r) AS total FROM rr x JOIN rr y ON x.node = y.node AND x.event < y.event JOIN rr z ON z.node = x.node AND y.event < z.event GROUP BY 1, 2, 3)"
+query("proximity_sets")(lambda s, d: baselines.proximity_sets(graph(s, d)).select("items", "size", *_r6("support")))
+query("proximity_triples", f"{REACH}, {_TRIPLE} SELECT a || '|' || b || '|' || c AS items, round(total / (SELECT count(*) FROM nodes), 6) AS support FROM t3 WHERE total >= 10")(lambda s, d: baselines.proximity_sets(graph(s, d)).where("size = 3").select("items", *_r6("support")))
+
+
+@query("rare_pairs_missed")
+def _rare_pairs(s, d, most=24, least=6, upto=12):
+    """Pairs of rare keywords that attract one another at one hop, but that proximity patterns don't reach: (a, n_a, b, n_b, n, z).
+
+    Events are words of ``least`` to ``upto`` documents, the ``most`` first by hash; all documents are references."""
+    g = graph(s, d, "doc_shingle")
+    words = F.explode(F.array_distinct(F.filter(F.split(F.lower("text"), "[^a-z]+"), lambda w: F.length(w) > 3))).alias("event")
+    occ = graphs.read(s, d, "documents", "doc_id", "text").select(F.col("doc_id").alias("node"), words)
+    rare = occ.groupBy("event").agg(F.count_distinct("node").alias("n")).where(F.col("n").between(least, upto)).orderBy(F.md5("event"), "event").limit(most)
+    g = g.with_occ(cut(occ.join(F.broadcast(rare), "event").select("node", "event").distinct()))
+    found = screen.screen(g, g.nodes.count(), 1, least=30).where("verdict = 'attraction'").join(baselines.proximity_pairs(g), ["a", "b"], "left_anti")
+    sizes = g.occ.groupBy("event").agg(F.count(F.lit(1)).alias("u"))
+    return found.join(sizes.toDF("a", "n_a"), "a").join(sizes.toDF("b", "n_b"), "b").select("a", "n_a", "b", "n_b", "n", *_r6("z"))
+
+
 query("avg_distance", f"""WITH {o.graph(COP)}, ea AS (SELECT node FROM occ WHERE event = 'Brand#4'), eb AS (SELECT node FROM occ WHERE event = 'Brand#2'), {o.seeds(4, 'eb', 's')}, {o.seeds(4, 'ea', 'q')},
 da AS (SELECT ea.node, coalesce(min(d), 5) AS d FROM ea LEFT JOIN ({' UNION ALL '.join(f'SELECT node, {k} AS d FROM s{k}' for k in range(5))}) x ON x.node = ea.node GROUP BY 1),
 db AS (SELECT eb.node, coalesce(min(d), 5) AS d FROM eb LEFT JOIN ({' UNION ALL '.join(f'SELECT node, {k} AS d FROM q{k}' for k in range(5))}) x ON x.node = eb.node GROUP BY 1)
 SELECT (SELECT round(avg(d), 6) FROM da) AS a_to_b, (SELECT round(avg(d), 6) FROM db) AS b_to_a""")(lambda s, d: baselines.average_distance(graph(s, d), *_B4).select(*_r6("a_to_b", "b_to_a")))
-query("avg_distance_perm")(lambda s, d: baselines.distance_permutation(graph(s, d), *_B4, rounds=10))
+query("avg_distance_perm")(lambda s, d: baselines.distance_permutation(graph(s, d), *_B4))
 _ht = "h0 AS (SELECT id AS node, 0.0::DOUBLE AS g FROM nodes)" + "".join(f", h{i} AS MATERIALIZED (SELECT n.id AS node, CASE WHEN n.id IN (SELECT node FROM tg) THEN 0.0 WHEN m.m IS NULL THEN {i} ELSE 1 + m.m END::DOUBLE AS g FROM nodes n LEFT JOIN (SELECT u, avg(g) AS m FROM adj JOIN h{i - 1} ON node = v GROUP BY u) m ON m.u = n.id)" for i in range(1, 6))
 query("hitting_time", f"WITH {o.graph(COP)}, tg AS (SELECT node FROM occ WHERE event = 'Brand#4'), {_ht} SELECT node, round(g, 6) AS g FROM h5")(lambda s, d: baselines.hitting_time(g := graph(s, d), g.occ.where("event = 'Brand#4'")).select("node", *_r6("g")))
 query("ppr_density")(lambda s, d: baselines.ppr_densities(g := graph(s, d), _roots(s, d).toDF("node"), *_B4))
-query("self_correlation")(lambda s, d: baselines.self_correlation(graph(s, d), "Brand#4", trials=3))
+query("self_correlation")(lambda s, d: baselines.self_correlation(graph(s, d), "Brand#4", trials=5))
 query("landmark_embedding")(lambda s, d: baselines.landmark_densities(graph(s, d), _roots(s, d).toDF("node"), *_B4))
+query("embedding_test")(lambda s, d: tidy(baselines.embedding_test(g := graph(s, d), kendall.reference_population(g, *_B4, 2), *_B4)))
+query("ppr_test")(lambda s, d: tidy(kendall.value_test(baselines.ppr_densities(g := graph(s, d), kendall.reference_population(g, *_B4, 2), *_B4))))
 query("distance_evaluations", f"WITH {o.graph(COP)}, {o.events(*_B4)} SELECT (SELECT count(*) FROM ev) AS m, 900 AS n, 900 * (SELECT count(*) FROM ev) AS evaluations, round(900 * (SELECT count(*) FROM ev) * 0.0000002, 6) AS seconds")(lambda s, d: graph(s, d).event_nodes(*_B4).agg(F.count(F.lit(1)).alias("m")).select("m", F.lit(900).alias("n"), (F.col("m") * 900).alias("evaluations"), F.round(F.col("m") * 900 * 0.0000002, 6).alias("seconds")))
 
 # simulation
@@ -238,12 +364,25 @@ query("planted_negative", f"WITH {o.graph(COP)}, va AS MATERIALIZED (SELECT id A
 query("noise_positive")(lambda s, d: simulate.with_noise(g := graph(s, d), cut(simulate.planted_positive(g, 2, 60)), 2, 0.3, True))
 query("noise_negative")(lambda s, d: simulate.with_noise(g := graph(s, d), cut(simulate.planted_negative(g, 2, 60)), 2, 0.3, False))
 query("edges_removed", f"WITH {o.graph(COP)} SELECT src, dst FROM edges WHERE ('0x' || substr(md5(src || ':' || dst || ':42'), 1, 15))::BIGINT % 100 >= 20")(lambda s, d: simulate.edit_edges(graph(s, d), -20).edges)
-query("edges_added")(lambda s, d: simulate.edit_edges(graph(s, d), 20).edges)
-query("recall_by_noise")(lambda s, d: simulate.recall(graph(s, d), 2, 60, 300, 2, noise=(0.0, 0.8)).union(simulate.recall(graph(s, d), 2, 60, 300, 2, noise=(0.0, 0.8), positive=False)))
-query("recall_by_edge_edit")(lambda s, d: simulate.recall(graph(s, d), 2, 60, 300, 2, percent=-50))
-query("recall_by_k")(lambda s, d: simulate.recall(graph(s, d), 2, 60, 200, 1, sampler=lambda *x, **k: samplers.importance_sample(*x, k=3, **k)))
-query("type1_rate")(lambda s, d: s.createDataFrame([(i, float(simulate.detect(g := graph(s, d, "cobuyer_customer"), simulate.independent(g, 20, seed=i), 1, 300).first().z)) for i in range(2)], "pair int, z double"))
-query("calibrate_n")(lambda s, d: simulate.calibrate_n(graph(s, d), 2, 60, pairs=1, sizes=(100, 300)))
+_num = o.KEY60.format
+query("edges_added", f"WITH {o.graph(COP)}, ix AS (SELECT id, row_number() OVER (ORDER BY {_num("id || ':place:42'")} % 64, id) - 1 AS i FROM nodes), dr AS (SELECT {_num("j || ':u:42'")} % (SELECT count(*) FROM nodes) AS u, {_num("j || ':v:42'")} % (SELECT count(*) FROM nodes) AS v FROM range(1, (SELECT count(*) * 20 // 100 + 1 FROM edges)::BIGINT) r(j)) SELECT src, dst FROM edges UNION SELECT least(x.id, y.id), greatest(x.id, y.id) FROM dr JOIN ix x ON x.i = u JOIN ix y ON y.i = v WHERE x.id <> y.id")(lambda s, d: simulate.edit_edges(graph(s, d), 20).edges)
+
+
+def _all(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+#: Planted pairs of one sign and setting; more only sharpen the recall, at a cost in proportion.
+PAIRS, SEEDS_A = 20, 60
+query("recall_by_noise")(lambda s, d: _all([simulate.recall_grid(graph(s, d), (1, 2, 3), SEEDS_A, 300, PAIRS, noise=(0.0, 0.3, 0.8), sampler=k) for k in ("enumerate", "whole_graph", "importance")]))
+query("recall_by_k")(lambda s, d: _all([simulate.recall_grid(graph(s, d), (2, 3), SEEDS_A, 300, PAIRS, noise=(0.0, 0.3), sampler="importance", k=k) for k in (1, 3, 6)]))
+query("recall_by_edge_edit")(lambda s, d: _all([simulate.recall_grid(graph(s, d), (2, 3), SEEDS_A, 300, PAIRS, percent=p) for p in (-50, -20, 20, 50)]))
+query("type1_rate")(lambda s, d: simulate.error_rates(graph(s, d, "cobuyer_customer"), (1, 2, 3), 20, 300, 40))
+query("calibrate_n")(lambda s, d: simulate.calibrate_n(graph(s, d), 3, SEEDS_A, PAIRS))
+query("screen_negative_h3")(lambda s, d: screen.screen(graph(s, d), 500, 3).where("verdict = 'repulsion'").orderBy("z", "a", "b").limit(20).select("a", "b", "n", "s", *_r6("z"), "verdict"))
 query("screen_pairs_top")(lambda s, d: screen.screen(graph(s, d), 500, 1).orderBy(F.desc("z"), "a", "b").limit(20).select("a", "b", "n", "s", *_r6("z"), "verdict"))
 query("verdicts")(lambda s, d: screen.screen(graph(s, d), 500, 1).groupBy("verdict").agg(F.count(F.lit(1)).alias("n")))
 query("rollup_verdicts")(lambda s, d: screen.screen(graph(s, d), 500, 1).rollup("verdict", "a").agg(F.count(F.lit(1)).alias("n")))
@@ -259,8 +398,12 @@ both("set_union_events", "SELECT o_custkey AS k FROM {orders} UNION SELECT c_cus
 both("handoff_lead", "SELECT user_id, event_id, lead(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS next_id FROM {events}")
 both("asof_handoff", "SELECT user_id, event_id, max(CASE WHEN event_type = 'purchase' THEN event_id END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS purchase_before FROM {events}")
 both("rolling_events_1h", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL '1' HOUR PRECEDING AND CURRENT ROW) AS n FROM {events}")
-both("ntile_parts", "SELECT p_partkey, ntile(10) OVER (PARTITION BY p_type ORDER BY p_retailprice, p_partkey) AS tile FROM {part}")
-both("rank_density", "SELECT p_partkey, rank() OVER (PARTITION BY p_type ORDER BY p_size) AS r, dense_rank() OVER (PARTITION BY p_type ORDER BY p_size) AS dr FROM {part}")
+query("ntile_refs", f"{o.dens(COP, A, B, 1)} SELECT node, ntile(10) OVER (PARTITION BY size ORDER BY cnt_a::DOUBLE / size, node) AS tile FROM dens")(lambda s, d: _dens(s, d, 1).selectExpr("node", "ntile(10) OVER (PARTITION BY size ORDER BY cnt_a / size, node) AS tile"))
+query("rank_density", f"{o.dens(COP, A, B, 1)} SELECT node, rank() OVER (PARTITION BY size ORDER BY cnt_a) AS r, dense_rank() OVER (PARTITION BY size ORDER BY cnt_a) AS dr, round(percent_rank() OVER (PARTITION BY size ORDER BY cnt_a), 6) AS pr FROM dens")(lambda s, d: _dens(s, d, 1).selectExpr("node", *(f"{f} OVER (PARTITION BY size ORDER BY cnt_a)" + t for f, t in (("rank()", " AS r"), ("dense_rank()", " AS dr"))), "round(percent_rank() OVER (PARTITION BY size ORDER BY cnt_a), 6) AS pr"))
+query("intersect_all_events", "SELECT user_id FROM events WHERE event_type = 'error' INTERSECT ALL SELECT user_id FROM events WHERE event_type = 'purchase'")(lambda s, d: (lambda e: e.where("event_type = 'error'").select("user_id").intersectAll(e.where("event_type = 'purchase'").select("user_id")))(graphs.read(s, d, "events", "user_id", "event_type")))
+both("fn_levenshtein", "SELECT x.p_type AS a, y.p_type AS b, levenshtein(x.p_type, y.p_type) AS d FROM (SELECT DISTINCT p_type FROM {part}) x JOIN (SELECT DISTINCT p_type FROM {part}) y ON x.p_type < y.p_type")
+query("density_quantiles")(lambda s, d: _dens(s, d, 1).agg(F.percentile_approx(F.col("cnt_a") / F.col("size"), [0.25, 0.5, 0.75], 10_000).alias("quartiles"), F.histogram_numeric(F.col("cnt_a") / F.col("size"), F.lit(8)).alias("histogram")))
+query("cube_event_h", f"SELECT event, h, count(*) AS n FROM (WITH {o.graph(COP)}, {o.events(A, B)}, {o.seeds(2)}, q AS (SELECT 0 AS h, node FROM s0 UNION ALL SELECT 1, node FROM s1 UNION ALL SELECT 2, node FROM s2) SELECT q.h, occ.event FROM q JOIN occ USING (node)) GROUP BY CUBE (event, h)")(lambda s, d: (lambda g: kendall.reference_population(g, A, B, 2).withColumn("h", F.explode(F.sequence(F.col("dist"), F.lit(2)))).join(g.occ, "node").cube("event", "h").agg(F.count(F.lit(1)).alias("n")))(graph(s, d)))
 both("topk_pairs", "SELECT o_orderpriority, o_orderkey, r FROM (SELECT o_orderpriority, o_orderkey, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS r FROM {orders}) t WHERE r <= 5")
 both("fn_string", "SELECT p_partkey, lower(p_name) AS low, md5(p_name) AS h, length(p_name) AS n, concat(p_brand, '/', p_type) AS bt FROM {part}")
 both("fn_date", "SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, CAST(CAST(o_orderdate AS DATE) AS STRING) AS d FROM {orders}")
@@ -268,31 +411,44 @@ both("fn_math", "SELECT p_partkey, round(sqrt(p_retailprice), 6) AS r, abs(p_siz
 both("fn_json", "SELECT event_id, CAST(get_json_object(props, '$.k') AS INT) AS k FROM {events}", "SELECT event_id, CAST(json_extract(props, '$.k') AS INT) AS k FROM events")
 both("fn_array", "SELECT doc_id, size(array_distinct(split(text, ' '))) AS n FROM {documents}", "SELECT doc_id, len(list_distinct(string_split(text, ' '))) AS n FROM documents")
 both("fn_map", "SELECT p_type, size(map_keys(map_from_entries(collect_set(struct(p_brand, 1))))) AS n FROM {part} GROUP BY p_type", "SELECT p_type, count(DISTINCT p_brand)::INT AS n FROM part GROUP BY p_type")
-both("all_event_pairs", "SELECT x.p_type AS a, y.p_type AS b FROM (SELECT DISTINCT p_type FROM {part}) x JOIN (SELECT DISTINCT p_type FROM {part}) y ON x.p_type < y.p_type")
-both("density_zero_fill", "SELECT p.p_partkey, count(l.l_orderkey) AS n FROM {part} p LEFT JOIN {lineitem} l ON l.l_partkey = p.p_partkey AND l.l_returnflag = 'R' GROUP BY p.p_partkey")
+query("all_event_pairs", f"WITH {o.graph(COP)}, e AS (SELECT DISTINCT event FROM occ) SELECT x.event AS a, y.event AS b FROM e x, e y WHERE x.event < y.event")(lambda s, d: (lambda e: e.toDF("a").crossJoin(e.toDF("b")).where("a < b"))(graph(s, d).occ.select("event").distinct()))
+query("density_zero_fill", f"{o.dens(COP, A, B, 1)} SELECT n.id AS node, coalesce(dens.cnt_a, 0) AS cnt_a, coalesce(dens.cnt_b, 0) AS cnt_b FROM nodes n LEFT JOIN dens ON dens.node = n.id")(lambda s, d: graph(s, d).nodes.select(F.col("id").alias("node")).join(_dens(s, d, 1).select("node", "cnt_a", "cnt_b"), "node", "left").na.fill(0))
+query("full_outer_events", f"WITH {o.graph(COP)} SELECT coalesce(x.node, y.node) AS node, x.node IS NOT NULL AS has_a, y.node IS NOT NULL AS has_b FROM (SELECT node FROM occ WHERE event = 'SMALL') x FULL JOIN (SELECT node FROM occ WHERE event = 'Brand#4') y ON x.node = y.node")(
+    lambda s, d: (lambda occ: occ.where("event = 'SMALL'").select("node", F.lit(True).alias("has_a")).join(occ.where("event = 'Brand#4'").select("node", F.lit(True).alias("has_b")), "node", "full").na.fill(False))(graph(s, d).occ)
+)
 both("approx_distinct_neighbours", "SELECT l_partkey, approx_count_distinct(l_orderkey) AS n FROM {lineitem} GROUP BY l_partkey")
 SQL.pop("approx_distinct_neighbours")
-both("win_tumbling", "SELECT date_trunc('DAY', ts) AS start, event_type AS event, count(*) AS n FROM {events} GROUP BY 1, 2")
+
 for _t in TABLES:
     both(f"scan_{_t}", f"SELECT count(*) AS n FROM {{{_t}}}")
 query("sql_recursive_ball", "WITH adj AS (SELECT * FROM (VALUES (1, 2), (2, 1), (2, 3), (3, 2), (3, 4), (4, 3)) t(u, v)), b AS (SELECT 1 AS node, 0 AS d UNION SELECT 2, 1 UNION SELECT 3, 2) SELECT * FROM b")(lambda s, d: s.sql("WITH RECURSIVE adj AS (SELECT * FROM VALUES (1, 2), (2, 1), (2, 3), (3, 2), (3, 4), (4, 3) AS t(u, v)), b(node, d) AS (SELECT 1, 0 UNION ALL SELECT v, d + 1 FROM b JOIN adj ON u = node WHERE d < 2) SELECT node, min(d) AS d FROM b GROUP BY node"))
 
 # streams and stores
-query("stream_occ")(lambda s, d: occurrences.run_to_table(occurrences.occurrence_stream(s, d)))
-query("win_sliding")(lambda s, d: occurrences.run_to_table(occurrences.windowed(occurrences.occurrence_stream(s, d), "sliding")))
-query("win_session")(lambda s, d: occurrences.run_to_table(occurrences.windowed(occurrences.occurrence_stream(s, d), "session")))
-query("stream_state")(lambda s, d: occurrences.run_to_table(occurrences.first_seen(occurrences.occurrence_stream(s, d))))
-query("stream_vrc")(lambda s, d: occurrences.test_windows(occurrences.occurrence_stream(s, d), graph(s, d, "user_handoff"), "error", "purchase", 1))
-
-
-@query("edge_list_roundtrip", f"WITH {o.graph(COP)} SELECT fmt, count(*) AS n FROM edges, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) f(fmt) GROUP BY fmt")
+_ntz = lambda *c: [F.col(x).cast("timestamp_ntz").alias(x) for x in c]
+_stream = lambda s, d: occurrences.occurrence_stream(s, d)
+_closed = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
+query("stream_occ", "SELECT user_id AS node, event_type AS event, ts FROM events")(lambda s, d: occurrences.run_to_table(_stream(s, d)).select("node", "event", *_ntz("ts")))
+query("win_tumbling", f"SELECT date_trunc('DAY', ts)::TIMESTAMP AS start, event_type AS event, count(*) AS n FROM events GROUP BY 1, 2 HAVING date_trunc('DAY', min(ts)) + INTERVAL 1 DAY <= {_closed}")(lambda s, d: occurrences.run_to_table(occurrences.windowed(_stream(s, d))).select(*_ntz("start"), "event", "n"))
+query("win_sliding", f"SELECT start, event, count(*) AS n FROM (SELECT time_bucket(INTERVAL 12 HOUR, ts, TIMESTAMP '2024-01-01') - k * INTERVAL 12 HOUR AS start, event_type AS event FROM events, (VALUES (0), (1)) v(k)) GROUP BY 1, 2 HAVING start + INTERVAL 1 DAY <= {_closed}")(lambda s, d: occurrences.run_to_table(occurrences.windowed(_stream(s, d), "sliding")).select(*_ntz("start"), "event", "n"))
+query("win_session", f"SELECT min(ts) AS start, event, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY event ORDER BY ts, event_id) AS g FROM (SELECT event_id, event_type AS event, ts, CASE WHEN lag(ts) OVER (PARTITION BY event_type ORDER BY ts, event_id) + INTERVAL 30 MINUTE > ts THEN 0 ELSE 1 END AS new FROM events)) GROUP BY event, g HAVING max(ts) + INTERVAL 30 MINUTE <= {_closed}")(lambda s, d: occurrences.run_to_table(occurrences.windowed(_stream(s, d), "session")).select(*_ntz("start"), "event", "n"))
+query("stream_dedup")(lambda s, d: occurrences.run_to_table(occurrences.first_seen(_stream(s, d))))
+query("stream_state", "SELECT event_type AS event, user_id AS node, count(*) AS n, epoch_us(max(ts)) AS last_us FROM events GROUP BY 1, 2")(lambda s, d: occurrences.run_to_table(occurrences.running_totals(_stream(s, d)), "update"))
+query("stream_vrc")(lambda s, d: occurrences.test_windows(_stream(s, d), graph(s, d, "user_handoff"), "error", "purchase", 1))
+
+
+@query("edge_list_roundtrip", f"WITH {o.graph(COP)} SELECT fmt, count(*) AS n FROM edges, (VALUES ('csv'), ('json'), ('orc'), ('parquet'), ('text')) f(fmt) GROUP BY fmt")
 def _roundtrip(s, d):
     edges = cut(graph(s, d).edges)
     out = None
-    for fmt in ("csv", "json", "orc", "parquet"):
-        at = f"{s.sparkContext.getCheckpointDir()}/edges_{uuid.uuid4().hex}"
-        edges.write.format(fmt).save(at)
-        back = s.read.format(fmt).schema(edges.schema).load(at).join(edges, ["src", "dst"], "left_semi").agg(F.lit(fmt).alias("fmt"), F.count(F.lit(1)).alias("n"))
+    for fmt in ("csv", "json", "orc", "parquet", "text"):
+        at = f"{graphs.shared_dir(s)}/edges_{uuid.uuid4().hex}"
+        if fmt == "text":  # one edge a line, ends apart by a tab
+            edges.select(F.concat_ws("\t", "src", "dst").alias("value")).write.text(at)
+            got = s.read.text(at).select(*(F.split("value", "\t")[i].cast("long").alias(c) for i, c in enumerate(("src", "dst"))))
+        else:
+            edges.write.format(fmt).save(at)
+            got = s.read.format(fmt).schema(edges.schema).load(at)
+        back = got.join(edges, ["src", "dst"], "left_semi").agg(F.lit(fmt).alias("fmt"), F.count(F.lit(1)).alias("n"))
         out = back if out is None else out.union(back)
     return out
 

@@ -8,21 +8,57 @@ event columns it needs.
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+import zipfile
 from dataclasses import dataclass
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
+_SHIPPED: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Give executors this package, once an application, in case they don't have it."""
+    sc = spark.sparkContext
+    if sc.applicationId not in _SHIPPED and sc.master.split("[")[0] != "local":
+        root = Path(__file__).resolve().parents[1]
+        at = Path(tempfile.mkdtemp(prefix="package-")) / "graph_package.zip"
+        with zipfile.ZipFile(at, "w") as z:
+            for f in root.rglob("*.py"):
+                z.write(f, f.relative_to(root.parent))
+        sc.addPyFile(str(at))
+    _SHIPPED.add(sc.applicationId)
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """Folder that driver and executors share: spark.checkpoint.dir.  Unset, it is one of our own in local mode and an error on a cluster."""
+    sc = spark.sparkContext
+    ship(spark)
+    if sc.getCheckpointDir() is None:
+        at = spark.conf.get("spark.checkpoint.dir", None)
+        if at is None and sc.master.split("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        sc.setCheckpointDir(at or tempfile.mkdtemp(prefix="vicinity-"))
+    return sc.getCheckpointDir()
+
+
 @dataclass(frozen=True)
 class EventGraph:
     nodes: DataFrame
     edges: DataFrame
     occ: DataFrame
+    arcs: DataFrame | None = None  # stored adjacency, bucketed by u
+    extra: DataFrame | None = None  # (id): declared nodes, beside the ends of edges and the event nodes
 
     @property
     def adj(self) -> DataFrame:
         """Both directions of every edge: (u, v)."""
+        if self.arcs is not None:
+            return self.arcs
         return self.edges.select(F.col("src").alias("u"), F.col("dst").alias("v")).union(self.edges.select("dst", "src"))
 
     def event_nodes(self, a: str, b: str) -> DataFrame:
@@ -30,7 +66,24 @@ class EventGraph:
         return self.occ.where(F.col("event").isin(a, b)).groupBy("node").agg(F.max(F.col("event") == a).alias("has_a"), F.max(F.col("event") == b).alias("has_b"))
 
     def with_occ(self, occ: DataFrame) -> EventGraph:
-        return EventGraph(self.nodes, self.edges, occ)
+        return EventGraph(self.nodes, self.edges, occ, self.arcs)
+
+    def stored(self) -> EventGraph:
+        """The graph written once in the shared folder, its adjacency bucketed and sorted by node, so that searches neither build it again nor shuffle it."""
+        spark = self.nodes.sparkSession
+        at, tag = shared_dir(spark), uuid.uuid4().hex
+        got = {}
+        for name in ("edges", "occ", "nodes"):
+            df = getattr(self, name)
+            if name == "nodes" and self.extra is not None:  # from what is written, not from the building join again
+                own = got["edges"].select(F.col("src").alias("id")).union(got["edges"].select("dst")).union(got["occ"].select("node")).union(self.extra)
+                df = own.distinct()
+            df.write.parquet(f"{at}/graph_{tag}/{name}")
+            got[name] = spark.read.schema(df.schema).parquet(f"{at}/graph_{tag}/{name}")
+        buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        both = EventGraph(got["nodes"], got["edges"], got["occ"]).adj
+        both.repartition(buckets, "u").write.bucketBy(buckets, "u").sortBy("u").option("path", f"{at}/graph_{tag}/adj").saveAsTable(f"adj_{tag}")
+        return EventGraph(got["nodes"], got["edges"], got["occ"], spark.table(f"adj_{tag}"))
 
 
 def from_edges(pairs: DataFrame, occ: DataFrame, nodes: DataFrame | None = None) -> EventGraph:
@@ -38,7 +91,8 @@ def from_edges(pairs: DataFrame, occ: DataFrame, nodes: DataFrame | None = None)
     edges = pairs.toDF("x", "y").where("x <> y").select(F.least("x", "y").cast("long").alias("src"), F.greatest("x", "y").cast("long").alias("dst")).distinct()
     occ = occ.select(F.col("node").cast("long").alias("node"), "event").where("node IS NOT NULL AND event IS NOT NULL").distinct()
     own = edges.select(F.col("src").alias("id")).union(edges.select("dst")).union(occ.select("node"))
-    return EventGraph((own if nodes is None else own.union(nodes.select(F.col("id").cast("long")))).distinct(), edges, occ)
+    extra = (occ.select(F.col("node").alias("id")) if nodes is None else nodes.select(F.col("id").cast("long"))).where("id IS NOT NULL")
+    return EventGraph(own.union(extra).distinct(), edges, occ, None, extra)
 
 
 def read(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
@@ -131,4 +185,22 @@ def embed_knn(spark: SparkSession, sf_dir: str, k: int = 5) -> EventGraph:
     return from_edges(best.where(F.col("r") <= k).select("x", "y"), v.select(F.col("vec_id").alias("node"), F.col("label").cast("string").alias("event")))
 
 
+_STORED: dict[tuple, EventGraph] = {}
+
+
+def _state(spark: SparkSession, sf_dir: str) -> tuple:
+    """Names, sizes and times of a folder's files, to tell whether its tables have changed."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(sf_dir)
+    files = at.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(at)
+    return tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in files))
+
+
+def stored_graph(spark: SparkSession, sf_dir: str, name: str) -> EventGraph:
+    """The named graph, built and stored once an application for as long as the tables stay as they are."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, _state(spark, sf_dir))
+    if key not in _STORED:
+        _STORED[key] = BUILDERS[name](spark, sf_dir).stored()
+    return _STORED[key]
+
+
 BUILDERS = {f.__name__: f for f in (copurchase_part, cobuyer_customer, order_part, star_tree, page_path, doc_shingle, user_handoff, embed_knn)}
