@@ -330,7 +330,7 @@ query("proximity_triples", f"{REACH}, {_TRIPLE} SELECT a || '|' || b || '|' || c
 
 
 @query("rare_pairs_missed")
-def _rare_pairs(s, d, most=24, least=6, upto=12):
+def _rare_pairs(s, d, most=150, least=3, upto=8):
     """Pairs of rare keywords that attract one another at one hop, but that proximity patterns don't reach: (a, n_a, b, n_b, n, z).
 
     Events are words of ``least`` to ``upto`` documents, the ``most`` first by hash; all documents are references."""
