@@ -9,6 +9,8 @@ from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 from pyspark.sql.types import DoubleType, IntegerType, LongType, StructField, StructType
 
+from ..sources.graphs import ship
+
 
 @pandas_udf(DoubleType())
 def normal_sf(z: pd.Series) -> pd.Series:
@@ -57,6 +59,7 @@ SELECT cast(n AS bigint) AS n, cast(s AS bigint) AS s, s / sqrt(var_s) AS z FROM
 
 def register(spark: SparkSession) -> None:
     """Names for SQL: normal_sf(z), kendall_s(a, b), ball_of(root, h, arcs)."""
+    ship(spark)
     spark.udf.register("normal_sf", normal_sf)
     spark.udf.register("kendall_s", kendall_s)
     spark.udtf.register("ball_of", BallOf)

@@ -24,7 +24,7 @@ _SHIPPED: set[str] = set()
 def ship(spark: SparkSession) -> None:
     """Give executors this package, once an application, in case they don't have it."""
     sc = spark.sparkContext
-    if sc.applicationId not in _SHIPPED and sc.master.split("[")[0] != "local":
+    if sc.applicationId not in _SHIPPED:  # in local mode too: workers don't get the driver's sys.path
         root = Path(__file__).resolve().parents[1]
         at = Path(tempfile.mkdtemp(prefix="package-")) / "graph_package.zip"
         with zipfile.ZipFile(at, "w") as z:
