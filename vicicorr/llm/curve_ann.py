@@ -75,10 +75,16 @@ def directions(dim: int, seed: int = 29) -> np.ndarray:
 
 def distances(q: np.ndarray, x: np.ndarray) -> np.ndarray:
     """All Euclidean distances, summed component by component in double precision."""
-    d = np.zeros((len(q), len(x)))
+    return _across(q, np.ascontiguousarray(x.T))
+
+
+def _across(q: np.ndarray, by_dim: np.ndarray) -> np.ndarray:
+    """The same for rows given by dimension, so that every step reads them in order."""
+    d = np.zeros((len(q), by_dim.shape[1]))
     for i in range(q.shape[1]):
-        t = q[:, i, None] - x[None, :, i]
-        d += t * t
+        t = q[:, i, None] - by_dim[i]
+        t *= t
+        d += t
     return np.sqrt(d)
 
 
@@ -179,13 +185,14 @@ def _block_best(dim: int, k: int, near: int):
         v = np.frombuffer(b"".join(binaries(tbl, "v")), np.float64).reshape(-1, dim)
         rows, asked, out = np.flatnonzero(side == 0), np.flatnonzero(side == 1), []
         rows = rows[np.argsort(pos[rows], kind="stable")]
+        place, mine, by_dim = pos[rows], ids[rows], np.ascontiguousarray(v[rows].T)
         for i in asked:
-            some = rows[np.searchsorted(pos[rows], pos[i] - near) : np.searchsorted(pos[rows], pos[i] + near, side="right")]
-            some = some[ids[some] != ids[i]]
-            if len(some):
-                d = distances(v[i][None], v[some])[0]
-                best = _best(ids[some], d, k)
-                out.append((np.full(len(best), ids[i]), ids[some][best], d[best]))
+            lo, hi = np.searchsorted(place, pos[i] - near), np.searchsorted(place, pos[i] + near, side="right")
+            others = np.flatnonzero(mine[lo:hi] != ids[i])
+            if len(others):
+                d, some = _across(v[i][None], by_dim[:, lo:hi])[0][others], mine[lo:hi][others]
+                best = _best(some, d, k)
+                out.append((np.full(len(best), ids[i]), some[best], d[best]))
         return pa.Table.from_batches([batch(_NEAR, *(np.concatenate(c) for c in zip(*out, strict=True)))] if out else [], schema=_NEAR)
 
     return run
