@@ -70,3 +70,21 @@ def test_upper_tail(spark):
     from vicicorr.functions.stats import upper_p
 
     assert spark.range(1).select(upper_p(F.lit(2.33))).first()[0] == pytest.approx(0.0099, abs=1e-4)
+
+
+def test_embed_knn_by_brute_force(spark, tmp_path):
+    """Copies, parallel vectors and vectors without a direction, over several blocks."""
+    rng = np.random.default_rng(3)
+    some = rng.normal(size=(40, 6)).astype(np.float32)
+    vec = [x.tolist() for x in np.r_[some, some[:9], np.repeat(some[:1], 20, 0), 2 * some[:5]]]
+    odd = [[0.0] * 6, [float("nan")] + [1.0] * 5, [1.0, None] + [0.5] * 4, None]
+    rows = [(i * 7 % 199, x, i % 2) for i, x in enumerate(vec + odd)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    fit = [(i, np.array(x, np.float64)) for i, x, _ in rows[: len(vec)]]
+    want = set()
+    for i, x in fit:
+        near = sorted((-round(float(sum(p * q for p, q in zip(x, y, strict=True)) / (np.sqrt(x @ x) * np.sqrt(y @ y))), 10), j) for j, y in fit if j != i)
+        want |= {(min(i, j), max(i, j)) for _, j in near[:5]}
+    g = graphs.embed_knn(spark, str(tmp_path), block=16)
+    assert {(r.src, r.dst) for r in g.edges.collect()} == want
+    assert g.nodes.count() == len(rows)
