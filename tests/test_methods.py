@@ -232,3 +232,36 @@ def test_closed_windows_equal_the_batch(spark, sf):
     top = ev.agg(F.max("ts") - F.expr("INTERVAL 1 HOUR")).first()[0]
     days = occurrences.window_nodes(ev, "error", "purchase").where(F.col("start") + F.expr("INTERVAL 1 DAY") <= F.lit(top))
     assert got == {r.start: (r.n, r.s) for r in occurrences.test_nodes(days, g, 1).collect()} and got
+
+
+@pytest.mark.parametrize("h", [2, 3])
+def test_skeleton_by_brute_force(spark, h):
+    """Trees that hang on a core, twins with different events, two-node and lone nodes, a cycle of twins."""
+    from vicicorr.operators.skeleton import skeleton
+
+    rng = np.random.default_rng(5)
+    pairs = {(int(x), int(y)) for x, y in rng.integers(0, 12, (14, 2)) if x != y}  # a core
+    pairs |= {(100 + i, x) for i in range(12) for x in (1, 4, 7)} | {(120 + i, x) for i in range(5) for x in (100, 3)}  # twins
+    pairs |= {(i, int(rng.integers(200, i)) if i > 205 else int(rng.integers(0, 12))) for i in range(200, 240)} | {(240 + i, 239) for i in range(6)}  # trees
+    pairs |= {(300, 301), (310, 311), (311, 312), (310, 313), (312, 313)} | {(400, x) for x in range(401, 407)}
+    ids = sorted({x for p in pairs for x in p} | {500, 501})
+    occ = [(i, e) for i in ids for e in "ab" if rng.random() < 0.4] + [(500, "a")]
+    g = graphs.from_edges(spark.createDataFrame(sorted(pairs), "x long, y long"), spark.createDataFrame(occ, "node long, event string"), spark.createDataFrame([(i,) for i in ids], "id long"))
+    near = {i: {i} for i in ids}
+    for x, y in pairs:
+        near[x].add(y)
+        near[y].add(x)
+    has = {e: {i for i, k in occ if k == e} for e in "ab"}
+    want = set()
+    for i in ids:
+        ball = {i}
+        for _ in range(h):
+            ball = set().union(*(near[x] for x in ball))
+        want.add((i, len(ball), len(ball & has["a"]), len(ball & has["b"]), len(ball & (has["a"] | has["b"]))))
+    got = kendall.densities(g, g.nodes.select(F.col("id").alias("node")), "a", "b", h)
+    assert {(r.node, r["size"], r.cnt_a, r.cnt_b, r.c) for r in got.collect()} == want
+    sk = skeleton(g)
+    assert sk.levels > 1 and sk.twins.count() >= 11 and skeleton(g.with_occ(g.occ)) is sk
+    some = [i for i in ids if i % 3 == 0]
+    got = kendall.densities(g, spark.createDataFrame([(i,) for i in some], "node long"), "a", "b", h)
+    assert {(r.node, r["size"], r.cnt_a, r.cnt_b, r.c) for r in got.collect()} == {w for w in want if w[0] in some}
