@@ -265,3 +265,18 @@ def test_skeleton_by_brute_force(spark, h):
     some = [i for i in ids if i % 3 == 0]
     got = kendall.densities(g, spark.createDataFrame([(i,) for i in some], "node long"), "a", "b", h)
     assert {(r.node, r["size"], r.cnt_a, r.cnt_b, r.c) for r in got.collect()} == {w for w in want if w[0] in some}
+
+
+def test_concordance_keeps_every_pair(spark, sf):
+    """Members and pairs of classes give back each pair's vote; equal densities take one row a reference."""
+    from vicicorr import queries as q
+
+    rows = q.Q["concordance_pairs"](spark, sf).collect()
+    rep = {r.i: r.j for r in rows if r.kind == "member"}
+    votes = {(r.i, r.j): r.vote for r in rows if r.kind == "pair"}
+    dens = {r.node: (r.cnt_a, r.cnt_b) for r in q._dens(spark, sf, 0, "copurchase_part", "Brand#4", "Brand#2").collect()}
+    assert set(rep) == set(dens) and len(votes) < len(dens)
+    for i, j in itertools.combinations(sorted(dens), 2):
+        (a1, b1), (a2, b2) = dens[i], dens[j]  # at no hops sizes are one
+        want = int(np.sign(a1 - a2) * np.sign(b1 - b2))
+        assert want == (0 if rep[i] == rep[j] else votes[min(rep[i], rep[j]), max(rep[i], rep[j])])
