@@ -280,3 +280,21 @@ def test_concordance_keeps_every_pair(spark, sf):
         (a1, b1), (a2, b2) = dens[i], dens[j]  # at no hops sizes are one
         want = int(np.sign(a1 - a2) * np.sign(b1 - b2))
         assert want == (0 if rep[i] == rep[j] else votes[min(rep[i], rep[j]), max(rep[i], rep[j])])
+
+
+@pytest.mark.parametrize(("name", "table", "rows"), [("p_value", "lineitem", 100), ("p_two_sided", "lineitem", 100), ("required_n", "lineitem", 100), ("fig3_inflation", "orders", 2)])
+def test_worked_queries_read_a_table(spark, sf, tmp_path, name, table, rows):
+    """They follow the table they are given: of half of it they give other values."""
+    from vicicorr import queries as q
+
+    assert len(whole := q.Q[name](spark, sf).collect()) == rows
+    key = {"lineitem": "l_orderkey", "orders": "o_orderkey"}[table]
+    graphs.read(spark, sf, table).where(f"{key} % 2 = 0").write.parquet(f"{tmp_path}/{table}.parquet")
+    assert q.Q[name](spark, str(tmp_path)).collect() != whole
+
+
+def test_out_of_sight_parts_move_z_up(spark, sf):
+    from vicicorr import queries as q
+
+    z = {r.refs: (r.n, r.z) for r in q.Q["out_of_sight_inflation"](spark, sf).collect()}
+    assert z["all"][0] > z["in sight"][0] and z["all"][1] > z["in sight"][1]
