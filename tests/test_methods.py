@@ -298,3 +298,13 @@ def test_out_of_sight_parts_move_z_up(spark, sf):
 
     z = {r.refs: (r.n, r.z) for r in q.Q["out_of_sight_inflation"](spark, sf).collect()}
     assert z["all"][0] > z["in sight"][0] and z["all"][1] > z["in sight"][1]
+
+
+def test_scans_read_every_column(spark, sf):
+    from vicicorr import queries as q
+
+    for t in ("benchmark", "customer", "labels"):
+        df = q.Q[f"scan_{t}"](spark, sf)
+        assert df.first().n == graphs.read(spark, sf, t).count()
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert all(c in plan.split("ReadSchema: ")[1] for c in graphs.read(spark, sf, t).columns)
