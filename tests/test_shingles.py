@@ -39,3 +39,18 @@ def test_packed_runs_take_few_bytes():
         for r in s:
             holders.setdefault(r, []).append(i)
     assert got == {(min(x, y), max(x, y)) for h in holders.values() if len(h) <= 3 for x in h for y in h if x != y}
+
+
+def test_shared_runs_count_however_many_hold_them(spark, tmp_path):
+    """Runs held by 21 and by 1,500 documents link them all, also where ids repeat or are null, as real_positive's graph takes them; its SQL has no cut."""
+    from vicicorr import experiments  # noqa: F401
+    from vicicorr.queries import SQL
+
+    rows = [(i, "One two, three FOUR five") for i in range(21)] + [(3, "x one two three four"), (None, "one two three four")]
+    rows += [(100 + i, "five six seven eight nine") for i in range(1500)]
+    rows += [(-(2**62), "red green blue black white"), (90, "Red green 7 blue black"), (None, "nine ten eleven twelve"), (91, "nine ten eleven twelve"), (92, None), (93, "one two three")]
+    spark.createDataFrame([(i, t, "en") for i, t in rows], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(0, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    got = {(r.src, r.dst) for r in graphs.BUILDERS["doc_shingle_all"](spark, str(tmp_path)).edges.collect()}
+    assert got == {(i, j) for i in range(21) for j in range(i + 1, 21)} | {(i, j) for i in range(100, 1600) for j in range(i + 1, 1600)} | {(-(2**62), 90)}
+    assert "BETWEEN 2 AND 20" not in SQL["real_positive"] and "BETWEEN 2 AND 20" in SQL["real_negative"]
